@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from subgraph_engine.llm import bpe, planes
+from subgraph_engine.llm import bpe, html_text, planes, toxicity
 
 QUERIES = {
+    "op4_html": html_text.texts_of_pages,
     "op5_bpe": bpe.digests_of_documents,
+    "op6_toxicity": toxicity.scores_of_documents,
     "op10_planes": planes.files_of_documents,
 }
 
