@@ -61,7 +61,8 @@ def find_duplicates(spark: SparkSession, docs: DataFrame, digest: bool = False)
         *([F.sha2("_text", 256).alias("text_sha256")] if digest else []),
     )
     light = written_table(spark, light.withColumn("_row", F.monotonically_increasing_id()), "dedup-light")
-    by_length = light.join(_survivors(light, ["_len"]), "_len", "left_semi")
+    lengths = written_table(spark, _survivors(light, ["_len"]), "dedup-lengths")
+    by_length = light.join(_maybe_broadcast(lengths), "_len", "left_semi")
     suspects = written_table(spark, _survivors(by_length, KEYS), "dedup-suspects")
     few = _maybe_broadcast(suspects)
     if digest:
