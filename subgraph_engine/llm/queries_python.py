@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from subgraph_engine.llm import bpe, html_text, planes, toxicity
+from subgraph_engine.llm import bpe, html_text, minhash, planes, toxicity
 
 QUERIES = {
+    "op3_minhash": minhash.op3,
     "op4_html": html_text.texts_of_pages,
     "op5_bpe": bpe.digests_of_documents,
     "op6_toxicity": toxicity.scores_of_documents,
