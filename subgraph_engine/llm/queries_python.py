@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from subgraph_engine.llm import bpe, html_text, minhash, planes, toxicity
+from subgraph_engine.llm import bpe, html_text, minhash, planes, topk, toxicity
 
 QUERIES = {
+    "op1_topk": topk.op1,
     "op3_minhash": minhash.op3,
     "op4_html": html_text.texts_of_pages,
     "op5_bpe": bpe.digests_of_documents,
@@ -12,4 +13,4 @@ QUERIES = {
     "op10_planes": planes.files_of_documents,
 }
 
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL = {"op1_topk": topk.ORACLE}
