@@ -31,6 +31,7 @@ table makes an empty manifest; extra columns are ignored.
 from __future__ import annotations
 
 import struct
+import unicodedata
 import uuid
 import zlib
 from collections.abc import Iterator
@@ -39,6 +40,7 @@ from functools import lru_cache
 import numpy as np
 import pyarrow as pa
 import pyarrow.fs as pafs
+import regex
 import zstandard
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -49,8 +51,12 @@ MAGIC = b"PLN1"
 CHUNK_IDS = 1 << 16
 FILE_IDS = 1 << 22
 LEVEL = 3
-WORD_CACHE = 1 << 18
+WORD_CACHE = 1 << 19
 CACHED_CHARS = 48
+#: Fixed value: the split pattern of the public tokenizer file.
+PRETOKEN = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+")
+
+FRESH = regex.compile("[\U00010000-\U0001efff\U00020000-\U0010ffff]")
 
 
 def pack_chunk(ids: np.ndarray, planes: int) -> list[bytes]:
@@ -165,10 +171,17 @@ class PlaneReader:
 
 
 class WordEncoder:
-    """A library tokenizer that ignores white space, with a bounded cache of words.
+    """A library tokenizer that ignores white space and case, with bounded caches.
+
+    White space separates pretokens and is dropped, so a text's ids are those of
+    the stretches between its spaces, tabs and line ends, one after another, and
+    a stretch's ids are those of its pretokens. Stretches and pretokens are kept;
+    the library encodes all new pretokens of a text in one call, whose ids fall
+    apart after each token that ends a word.
 
-    As white space separates pretokens and is dropped, a text's ids are those of
-    the stretches between its spaces, tabs and line ends, one after another.
+    Texts with marks of special tokens, with letters whose lower case depends on
+    their place, or with letters beyond the basic plane, whose class depends on
+    the Unicode version, go to the library as they are.
     """
 
     def __init__(self, path: str):
@@ -177,23 +190,49 @@ class WordEncoder:
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.no_truncation()
         self.tokenizer.no_padding()
-        self.cache: dict[str, bytes] = {"": b""}
+        size = self.tokenizer.get_vocab_size(with_added_tokens=True)
+        self.ends = np.zeros(size, bool)
+        for token, i in self.tokenizer.get_vocab().items():
+            self.ends[i] = token.endswith("</w>")
+        self.stretches: dict[str, bytes] = {"": b""}
+        self.pretokens: dict[str, bytes] = {}
 
-    def _ids(self, word: str) -> bytes:
-        ids = np.array(self.tokenizer.encode(word, add_special_tokens=False).ids, "<u4").tobytes()
-        if len(word) <= CACHED_CHARS:
-            if len(self.cache) >= WORD_CACHE:
-                self.cache = {"": b""}
-            self.cache[word] = ids
-        return ids
+    def _library(self, text: str) -> np.ndarray:
+        return np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, "<u4")
 
     def encode(self, text: str, end: bytes) -> np.ndarray:
+        if "<|" in text or "\u03a3" in text or "\u0130" in text or not text.isascii() and FRESH.search(text):
+            return np.concatenate([self._library(text), np.frombuffer(end, "<u4")])
+        text = unicodedata.normalize("NFC", text).lower()
         words = text.replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ")
-        cache, out = self.cache, []
-        for word in words:
-            out.append(cache[word] if word in cache else self._ids(word))
-        out.append(end)
-        return np.frombuffer(b"".join(out), "<u4")
+        known = self.stretches
+        new = set(words).difference(known)
+        if len(known) + len(new) > WORD_CACHE:
+            known.clear()
+            known[""] = b""
+            new = set(words).difference(known)
+        self._learn(new)
+        ids = b"".join([*map(known.__getitem__, words), end])
+        for word in new:
+            if len(word) > CACHED_CHARS:
+                del known[word]
+        return np.frombuffer(ids, "<u4")
+
+    def _learn(self, new: set[str]) -> None:
+        parts = {word: PRETOKEN.findall(word) for word in new}
+        if len(self.pretokens) > WORD_CACHE:
+            self.pretokens.clear()
+        known = self.pretokens
+        unseen = list({p for own in parts.values() for p in own if p not in known})
+        if unseen:
+            ids = self._library(" ".join(unseen))
+            cuts = np.flatnonzero(self.ends[ids]) + 1
+            found = [ids[a:b].tobytes() for a, b in zip([0, *cuts], cuts)]
+            if len(found) != len(unseen):
+                found = [self._library(p).tobytes() for p in unseen]
+            known.update(zip(unseen, found))
+        for word, own in parts.items():
+            self.stretches[word] = b"".join(map(known.__getitem__, own))
 
 
 @lru_cache(maxsize=4)
