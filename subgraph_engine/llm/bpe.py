@@ -46,6 +46,7 @@ PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!
 PIECE_CHARS = 1 << 16
 CACHE_WORDS = 1 << 18
 CACHED_CHARS = 48
+PAIR_BITS = 24
 
 
 def byte_letters() -> dict[int, str]:
@@ -88,6 +89,12 @@ class MergeTable:
             made.add(whole)
             self._left_of.setdefault(whole, left)
         self.lookahead = self._sufficient_lookahead()
+        self.pair_rank = {a << PAIR_BITS | b: rank for (a, b), (rank, _) in self.merges.items()}
+        self.no_rank = len(spec["model"]["merges"])
+        self.made = [0] * self.no_rank
+        for rank, whole in self.merges.values():
+            self.made[rank] = whole
+        self.words: dict[str, list[int]] = {}  # ids of words seen by this process, of bounded size
 
     def _sufficient_lookahead(self) -> int:
         """Bytes by which a difference on the right can reach left, at most."""
@@ -106,13 +113,19 @@ class MergeTable:
         return self._merge_short(ids) if len(ids) <= 64 else self._merge_long(ids)
 
     def _merge_short(self, ids: list[int]) -> list[int]:
-        merges = self.merges
-        while len(ids) > 1:
-            best = min(((merges[p][0], k) for k, p in enumerate(zip(ids, ids[1:])) if p in merges), default=None)
-            if best is None:
+        rank, none = self.pair_rank.get, self.no_rank
+        ranks = [rank(a << PAIR_BITS | b, none) for a, b in zip(ids, ids[1:])]
+        while ranks:
+            best = min(ranks)
+            if best == none:
                 break
-            k = best[1]
-            ids[k : k + 2] = [merges[ids[k], ids[k + 1]][1]]
+            k = ranks.index(best)
+            ids[k : k + 2] = [self.made[best]]
+            del ranks[k]
+            if k:
+                ranks[k - 1] = rank(ids[k - 1] << PAIR_BITS | ids[k], none)
+            if k < len(ranks):
+                ranks[k] = rank(ids[k] << PAIR_BITS | ids[k + 1], none)
         return ids
 
     def _merge_long(self, ids: list[int]) -> list[int]:
@@ -348,7 +361,8 @@ def token_digests(docs: DataFrame, path: str) -> DataFrame:
     """doc_id, n_tokens and digests of the ids and of the decoded text, per document."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table, cache = load_table(path), {}
+        table = load_table(path)
+        cache = table.words
         for batch in batches:
             rows = []
             for text in batch.column("text").to_pylist():
@@ -374,7 +388,8 @@ def encode(docs: DataFrame, path: str) -> DataFrame:
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in fields), "token_ids array<int>, n_tokens long, decoded string"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table, cache = load_table(path), {}
+        table = load_table(path)
+        cache = table.words
         for batch in batches:
             for part in range(0, batch.num_rows, 256):
                 rows = batch.slice(part, 256)
