@@ -79,3 +79,24 @@ def rank_within(
         .withColumn(out, F.col("_shift") + F.col("_row"))
         .drop("_part", "_row", "_shift", "_g", "_p")
     )
+
+
+def global_prefix(
+    spark: SparkSession, df: DataFrame, order: list[Column], value: str, out: str, label: str = "prefix"
+) -> DataFrame:
+    """Adds ``out``: the sum of ``value`` over all rows before this one in the order.
+
+    Each range partition sums its own rows; a window within a partition is over
+    rows that are already there and in order.
+    """
+    rows = ranged(spark, df, order, label)
+    parts = rows.groupBy("_part").agg(F.sum(value).alias("_sum"))
+    before = Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = parts.select("_part", F.coalesce(F.sum("_sum").over(before), F.lit(0)).alias("_before_part"))
+    inside = Window.partitionBy("_part").orderBy("_row").rowsBetween(Window.unboundedPreceding, -1)
+    local = rows.withColumn("_local", F.coalesce(F.sum(value).over(inside), F.lit(0)))
+    return (
+        local.join(F.broadcast(offsets), "_part")
+        .withColumn(out, F.col("_before_part") + F.col("_local"))
+        .drop("_part", "_row", "_before_part", "_local")
+    )
