@@ -66,13 +66,15 @@ def build_blocks(g: GraphSpec, placement: DataFrame, direction: str = "both") ->
     """
     arcs = placed_arcs(g, placement, direction).select("pid", "src", "dst", *(["weight"] if g.weighted else []))
 
+    weighted = g.weighted
+
     def pack(table: pa.Table) -> pa.Table:
         table = table.sort_by([("dst", "ascending"), ("src", "ascending")])
         dst, src = table.column("dst").to_numpy(), table.column("src").to_numpy()
         vids, starts, counts = np.unique(dst, return_index=True, return_counts=True)
         gaps = np.diff(src, prepend=0)
         gaps[starts] = src[starts]
-        weights = [table.column("weight").to_pylist()] if g.weighted else [None]
+        weights = [table.column("weight").to_pylist()] if weighted else [None]
         columns = [
             pa.array([table.column("pid")[0].as_py()], pa.int32()),
             pa.array([vids], pa.list_(pa.int64())),

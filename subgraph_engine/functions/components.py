@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from subgraph_engine.storage import written_table
+from subgraph_engine.storage import release, written_table
 
 
 def star_components(spark: SparkSession, edges: DataFrame, label: str = "components") -> DataFrame:
@@ -36,7 +36,8 @@ def star_components(spark: SparkSession, edges: DataFrame, label: str = "compone
         if before == tuple(seen):
             break
         before = tuple(seen)
-        now = written_table(spark, _small_star(_large_star(now)), label)
+        last, now = now, written_table(spark, _small_star(_large_star(now)), label)
+        release(spark, last)
     roots = now.filter("src <> dst").select(F.col("src").alias("vid"), F.col("dst").alias("component"))
     return roots.unionByName(roots.select(F.col("component").alias("vid"), "component").distinct()).unionByName(
         now.filter("src = dst").select(F.col("src").alias("vid"), F.col("dst").alias("component"))

@@ -38,7 +38,16 @@ def written_table(spark: SparkSession, df: DataFrame, label: str) -> DataFrame:
     """Write ``df`` to the shared folder and return a scan of what was written."""
     path = shared_path(spark, label)
     df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    table = spark.read.schema(df.schema).parquet(path)
+    table._shared_path = path
+    return table
+
+
+def release(spark: SparkSession, *tables: DataFrame) -> None:
+    """Deletes written tables from which nothing will be read any more."""
+    for table in tables:
+        if path := getattr(table, "_shared_path", None):
+            drop_path(spark, path)
 
 
 def drop_path(spark: SparkSession, path: str) -> None:
