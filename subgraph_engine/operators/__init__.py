@@ -1 +1 @@
-
+"""Relational operators around graphs, each as a query with its SQL."""
