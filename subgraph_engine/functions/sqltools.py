@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
@@ -17,3 +17,15 @@ def varint_bytes(value: Column) -> Column:
     for k in range(1, 9):
         size = size + F.when(value >= F.lit(1 << 7 * k), 1).otherwise(0)
     return size
+
+
+def fresh(df: DataFrame, *names: str) -> list[str]:
+    """The names, lengthened where the frame already has such a column (whatever its case)."""
+    taken = {c.lower() for c in df.columns}
+    out = []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out

@@ -11,6 +11,7 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 _own_root: list[str] = []
 
@@ -50,6 +51,11 @@ def release(spark: SparkSession, *tables: DataFrame) -> None:
             drop_path(spark, path)
 
 
+def broadcast_if_few(keys: DataFrame, most: int) -> DataFrame:
+    """Marks narrow rows for broadcast when a count shows that they are few; else the join is Spark's choice."""
+    return F.broadcast(keys) if keys.limit(most + 1).count() <= most else keys
+
+
 def drop_path(spark: SparkSession, path: str) -> None:
     """Delete a path below the shared folder, on whatever file system it is."""
     jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
