@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from subgraph_engine.llm import bpe, html_text, minhash, planes, topk, toxicity
+from subgraph_engine.llm import bpe, html_text, license_scan, minhash, planes, topk, toxicity
 
 QUERIES = {
     "op1_topk": topk.op1,
@@ -10,6 +10,7 @@ QUERIES = {
     "op4_html": html_text.texts_of_pages,
     "op5_bpe": bpe.digests_of_documents,
     "op6_toxicity": toxicity.scores_of_documents,
+    "op7_licenses": license_scan.licenses_of_documents,
     "op10_planes": planes.files_of_documents,
 }
 
