@@ -68,8 +68,9 @@ class Engine:
             arcs = arcs.join(self.graph.arcs(program.direction).groupBy("src").agg(F.sum("weight").alias("out_weight")), "src")
         columns = ["pid", "src_pid", "src", "dst", *program.arc_columns]
         self.arcs_path = shared_path(spark, "job-arcs")
-        arcs.select(*columns).repartition(p, "pid").write.partitionBy("pid").option("compression", "zstd").parquet(self.arcs_path)
-        self.arcs = spark.read.parquet(self.arcs_path).select(*columns)
+        arcs = arcs.select(*columns)
+        arcs.repartition(p, "pid").write.partitionBy("pid").option("compression", "zstd").parquet(self.arcs_path)
+        self.arcs = spark.read.schema(arcs.schema).parquet(self.arcs_path).select(*columns)
         self.n_arcs = self.arcs.count()
         state = self.placement.withColumn("vid", F.col("vid").cast("long"))
         held = self.arcs.groupBy(F.col("dst").alias("vid")).agg(F.count(F.lit(1)).alias("n_arcs"))

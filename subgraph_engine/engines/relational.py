@@ -13,7 +13,7 @@ from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from subgraph_engine.engines.base import Engine
+from subgraph_engine.engines.base import Engine, explicit_layout
 
 
 class PartitionEngine(Engine):
@@ -22,8 +22,13 @@ class PartitionEngine(Engine):
     def _load(self) -> None:
         self._kept: list[DataFrame] = []
         if self.pinned:
-            self.kept_arcs = self._place(self.arcs.drop("src_pid"), keep=True)
-            self.kept_routes = self._place(self.routes, keep=True)
+            # what is cached under adaptive planning has no partitioning that a join could rely on
+            with explicit_layout(self.spark):
+                self._keep()
+
+    def _keep(self) -> None:
+        self.kept_arcs = self._place(self.arcs.drop("src_pid"), keep=True)
+        self.kept_routes = self._place(self.routes, keep=True)
 
     def _place(self, df: DataFrame, keep: bool = False) -> DataFrame:
         placed = df.repartitionById(self.request.partitions, "pid")
