@@ -94,7 +94,7 @@ a AS MATERIALIZED ({arcs}),
 v AS MATERIALIZED (SELECT src AS vid FROM e UNION SELECT dst FROM e{extra})"""
 
 
-def edges(name: str, places: int = 4) -> str:
+def edges(name: str, places: int = 6) -> str:
     weight = f", round(weight, {places}) AS weight" if name in WEIGHTED else ""
     return f"SELECT src, dst{weight} FROM ({EDGES[name]})"
 
@@ -154,7 +154,7 @@ def cdlp(name: str, iters: int = 10, tail: str | None = None) -> str:
     return f"WITH {', '.join(ctes)}, last AS (SELECT * FROM c{iters}) {tail}"
 
 
-def sssp(name: str, source: int, places: int = 4) -> str:
+def sssp(name: str, source: int, places: int = 6) -> str:
     return f"""WITH RECURSIVE {graph(name, 'out')},
 w(id, d) USING KEY (id) AS (
   SELECT vid, CAST(0 AS DOUBLE) FROM v WHERE vid = {source}

@@ -42,7 +42,7 @@ _SHORT = {
 def _edges(name: str) -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         g = graphs.BUILDERS[name](spark, sf_dir)
-        return g.edges.withColumn("weight", F.round("weight", 4)) if g.weighted else g.edges
+        return g.edges.withColumn("weight", F.round("weight", 6)) if g.weighted else g.edges
 
     return run
 
@@ -69,10 +69,10 @@ def prep_degrees(spark, d):
 
 @query(
     "prep_undirect",
-    f"SELECT least(src, dst) AS src, greatest(src, dst) AS dst, round(sum(weight), 4) AS weight FROM ({oracle_sql.EDGES['nation_trade']}) GROUP BY ALL",
+    f"SELECT least(src, dst) AS src, greatest(src, dst) AS dst, round(sum(weight), 6) AS weight FROM ({oracle_sql.EDGES['nation_trade']}) GROUP BY ALL",
 )
 def prep_undirect(spark, d):
-    return prepare.undirected(graphs.nation_trade(spark, d)).edges.withColumn("weight", F.round("weight", 4))
+    return prepare.undirected(graphs.nation_trade(spark, d)).edges.withColumn("weight", F.round("weight", 6))
 
 
 @query("prep_place_degree", _with("basket", "SELECT vid, pid FROM pl", 8))
@@ -273,12 +273,12 @@ def wcc_sizes(spark, d):
 
 @query("sssp_nation", oracle_sql.sssp("nation_trade", 0))
 def sssp_nation(spark, d):
-    return al.sssp(spark, graphs.nation_trade(spark, d), 0).withColumn("dist", F.round("dist", 4))
+    return al.sssp(spark, graphs.nation_trade(spark, d), 0).withColumn("dist", F.round("dist", 6))
 
 
 @query("sssp_flow", oracle_sql.sssp("event_flow", 0))
 def sssp_flow(spark, d):
-    return al.sssp(spark, graphs.event_flow(spark, d), 0).withColumn("dist", F.round("dist", 4))
+    return al.sssp(spark, graphs.event_flow(spark, d), 0).withColumn("dist", F.round("dist", 6))
 
 
 # modes and the superstep loop
