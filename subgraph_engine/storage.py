@@ -30,6 +30,13 @@ def shared_root(spark: SparkSession) -> str:
     return f"file://{_own_root[0]}"
 
 
+def qualified(spark: SparkSession, path: str) -> str:
+    """The path with the scheme of the file system that Spark finds it on."""
+    conf = spark.sparkContext._jsc.hadoopConfiguration()
+    target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return target.getFileSystem(conf).makeQualified(target).toString()
+
+
 def shared_path(spark: SparkSession, label: str) -> str:
     """A fresh path below the shared folder."""
     return f"{shared_root(spark)}/{label}-{uuid.uuid4().hex}"
