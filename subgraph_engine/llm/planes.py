@@ -45,7 +45,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from subgraph_engine.storage import shared_path, shuffle_width, written_table
+from subgraph_engine.storage import qualified, shared_path, shuffle_width, written_table
 
 MAGIC = b"PLN1"
 CHUNK_IDS = 1 << 16
@@ -259,6 +259,8 @@ def write_files(
     placed = rows.repartitionByRange(shuffle_width(spark), order[0]).sortWithinPartitions(*order)
     placed = placed.select("*", F.spark_partition_id().alias("part"))
     end = np.array([end_id], "<u4").tobytes()
+    folder = qualified(spark, folder)
+    _make_folder(spark, folder)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = word_encoder(tokenizer)
@@ -284,7 +286,6 @@ def write_files(
         if writer.docs:
             yield close()
 
-    _make_folder(spark, folder)
     return written_table(spark, placed.mapInArrow(run, MANIFEST), "planes-manifest")
 
 
@@ -307,6 +308,7 @@ def read_files(spark: SparkSession, manifest: DataFrame, folder: str) -> DataFra
     # one row for each file
     files = manifest.withColumn("first_id", F.coalesce(F.sum("n_ids").over(before), F.lit(0)))
     files = files.select("path", "first_id").repartition(shuffle_width(spark), "path")
+    folder = qualified(spark, folder)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         fs, _ = _open(folder)
