@@ -362,3 +362,30 @@ def drop_near_duplicates(spark: SparkSession, docs: DataFrame, words: int = 5, p
 
 def op3(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(spark, spark.read.parquet(f"{sf_dir}/documents.parquet"), words=4, percent=80)
+
+
+ORACLE = """
+WITH RECURSIVE w AS (
+  SELECT doc_id, list_filter(string_split_regex(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'),
+                                                '[\\x20\\x09-\\x0D]+'), lambda x: x <> '') AS w
+  FROM documents),
+d AS MATERIALIZED (
+  SELECT doc_id, list_distinct(CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 4 THEN [array_to_string(w, ' ')]
+                               ELSE list_transform(range(1, len(w) - 2), lambda i: array_to_string(w[i:i + 3], ' ')) END) AS g
+  FROM w),
+n AS MATERIALIZED (SELECT doc_id, len(g) AS n FROM d),
+s AS MATERIALIZED (SELECT doc_id, unnest(g) AS x FROM d),
+l AS MATERIALIZED (
+  SELECT p.a, p.b FROM (
+    SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS c
+    FROM s a JOIN s b ON a.x = b.x AND a.doc_id < b.doc_id GROUP BY ALL) p
+  JOIN n i ON i.doc_id = p.a JOIN n j ON j.doc_id = p.b
+  WHERE 100 * c >= 80 * (i.n + j.n - c)),
+e AS MATERIALIZED (SELECT a AS src, b AS dst FROM l UNION ALL SELECT b, a FROM l),
+r(id, c) USING KEY (id) AS (
+  SELECT doc_id, doc_id FROM n
+  UNION
+  SELECT e.dst, min(r.c) FROM r JOIN e ON e.src = r.id JOIN recurring.r q ON q.id = e.dst
+  GROUP BY e.dst HAVING min(r.c) < any_value(q.c))
+SELECT doc_id, n AS n_shingles, c AS component_id, doc_id = c AS kept FROM n JOIN r ON id = doc_id
+"""

@@ -14,4 +14,4 @@ QUERIES = {
     "op10_planes": planes.files_of_documents,
 }
 
-ORACLE_SQL = {"op1_topk": topk.ORACLE}
+ORACLE_SQL = {"op1_topk": topk.ORACLE, "op3_minhash": minhash.ORACLE}
