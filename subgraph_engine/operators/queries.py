@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from subgraph_engine import graphs, oracle_sql
+from subgraph_engine.functions import sql_surface
 from subgraph_engine.operators import library as lib
 from subgraph_engine.storage import shared_path
 from subgraph_engine.tables import NAMES, load
@@ -370,3 +371,31 @@ def op_join_back(spark, d):
     found = wcc(spark, graphs.doc_dup(spark, d), "star")
     labels = load(spark, d, "labels").withColumnRenamed("doc_id", "vid")
     return labels.join(found, "vid").groupBy("component").agg(F.count(F.lit(1)).alias("docs"), F.sum("toxic").alias("toxic"))
+
+
+@query("op_udf_varint", f"WITH {oracle_sql.graph('geo')} SELECT dst, list(src ORDER BY src) AS nbrs FROM a GROUP BY dst")
+def op_udf_varint(spark, d):
+    """Neighbour lists packed and unpacked by functions called from SQL."""
+    sql_surface.register(spark)
+    sql_surface.graph_views(graphs.geo(spark, d))
+    return spark.sql("SELECT dst, varint_unpack(varint_pack(collect_list(src))) AS nbrs FROM graph_geo_arcs GROUP BY dst")
+
+
+@query("op_udtf_payload", f"WITH {oracle_sql.graph('geo')} SELECT dst % 8 AS part, vid, CAST(vid * 3 AS BIGINT) AS value FROM (SELECT DISTINCT dst AS vid, dst FROM a)")
+def op_udtf_payload(spark, d):
+    """Payloads packed by an aggregate and taken apart by a table function."""
+    sql_surface.register(spark)
+    sql_surface.graph_views(graphs.geo(spark, d))
+    return spark.sql(
+        """SELECT part, r.vid, r.value
+           FROM (SELECT vid % 8 AS part, payload_pack(vid, vid * 3) AS body FROM (SELECT DISTINCT dst AS vid FROM graph_geo_arcs) GROUP BY vid % 8) p,
+                LATERAL payload_rows(p.body) r"""
+    )
+
+
+@query("g_kron_degrees")
+def g_kron_degrees(spark, d):
+    """Degrees of a generated power-law graph of 2^10 vertices."""
+    from subgraph_engine.prepare import degrees
+
+    return degrees(graphs.kron(spark, 10, 8)).groupBy("degree").agg(F.count(F.lit(1)).alias("vertices"))

@@ -72,3 +72,19 @@ def drop_path(spark: SparkSession, path: str) -> None:
 
 def shuffle_width(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
+
+
+#: Rows of an Arrow batch that carries whole texts.
+TEXT_ROWS = 512
+_BATCH_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch"
+
+
+def text_batches(spark: SparkSession) -> None:
+    """Lowers the session's rows per Arrow batch, which is bounded by rows alone.
+
+    Batches of ten thousand long texts take hundreds of MB on both sides of the
+    socket. The setting is of the running session and read when a query is planned.
+    """
+    rows = int(spark.conf.get(_BATCH_ROWS))
+    if rows <= 0 or rows > TEXT_ROWS:
+        spark.conf.set(_BATCH_ROWS, str(TEXT_ROWS))
