@@ -16,9 +16,9 @@ EVENT = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, v
 GENEROUS = "3650 days"
 
 
-def event_stream(spark: SparkSession, folder: str, schema: str = EVENT) -> DataFrame:
+def event_stream(spark: SparkSession, folder: str, schema: str = EVENT, files_per_trigger: int = 8) -> DataFrame:
     """Files that come into a folder; ``ts`` as a timestamp, which watermarks need."""
-    rows = spark.readStream.schema(schema).option("maxFilesPerTrigger", 8).parquet(folder)
+    rows = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).parquet(folder)
     return rows.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
