@@ -20,12 +20,13 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from subgraph_engine.storage import written_table
+from subgraph_engine.functions.sqltools import fresh
+from subgraph_engine.storage import broadcast_if_few, release, written_table
 
 PREFIX_CHARS = 256
 WHITE_SPACE = r"[\x20\x09-\x0D]+"
 KEYS = ["_len", "_head"]
-#: Surviving (length, prefix hash) keys are broadcast up to this many, 40 MB.
+#: Surviving (length, prefix hash) keys and ids to drop are broadcast up to this many, 40 MB.
 BROADCAST_KEYS = 1_000_000
 
 
@@ -62,9 +63,9 @@ def find_duplicates(spark: SparkSession, docs: DataFrame, digest: bool = False)
     )
     light = written_table(spark, light.withColumn("_row", F.monotonically_increasing_id()), "dedup-light")
     lengths = written_table(spark, _survivors(light, ["_len"]), "dedup-lengths")
-    by_length = light.join(_maybe_broadcast(lengths), "_len", "left_semi")
+    by_length = light.join(broadcast_if_few(lengths, BROADCAST_KEYS), "_len", "left_semi")
     suspects = written_table(spark, _survivors(by_length, KEYS), "dedup-suspects")
-    few = _maybe_broadcast(suspects)
+    few = broadcast_if_few(suspects, BROADCAST_KEYS)
     if digest:
         whole = light.join(few, KEYS, "left_semi").withColumn("_full", F.col("text_sha256"))
     else:
@@ -72,10 +73,13 @@ def find_duplicates(spark: SparkSession, docs: DataFrame, digest: bool = False)
         whole = again.join(few, KEYS, "left_semi").withColumn("_full", F.sha2("_text", 256)).drop("_text")
         whole = whole.withColumn("_row", F.monotonically_increasing_id())
     whole = written_table(spark, whole, "dedup-whole")
+    release(spark, lengths)
     groups = whole.groupBy(*KEYS, "_full").agg(
         F.min(F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id"), F.col("_row").alias("row"))).alias("_first"),
         F.count(F.lit(1)).alias("group_size"),
     )
+    # written, so that the join below has two exchanges of its own and a hot group can be split
+    groups = written_table(spark, groups, "dedup-groups")
     told = whole.join(groups, [*KEYS, "_full"]).select(
         "doc_id",
         F.col("_first.id").alias("keep_id"),
@@ -89,28 +93,22 @@ def find_duplicates(spark: SparkSession, docs: DataFrame, digest: bool = False)
     return told.unionByName(alone)
 
 
-def _maybe_broadcast(keys: DataFrame) -> DataFrame:
-    """Broadcasts keys whose number has been checked; otherwise leaves the choice to Spark."""
-    few = keys.limit(BROADCAST_KEYS + 1).count() <= BROADCAST_KEYS
-    return F.broadcast(keys) if few else keys
-
-
 def drop_duplicates(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """The rows of ``docs`` that stay, with all their columns.
 
     Only the ids of rows to drop are joined back (an anti join on a narrow
     table); rows whose id is null take part by their text's full hash.
     """
-    found = find_duplicates(spark, docs)
-    gone = found.filter(~F.col("kept")).select(F.col("doc_id").alias("_gone"))
-    clash = found.groupBy("doc_id").agg(F.count(F.lit(1)).alias("_n")).filter((F.col("_n") > 1) | F.col("doc_id").isNull())
+    found = written_table(spark, find_duplicates(spark, docs), "dedup-found")
+    name, full, row = fresh(docs, "dedup_gone", "dedup_full", "dedup_row")
+    gone = found.filter(~F.col("kept")).select(F.col("doc_id").alias(name))
+    clash = found.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).filter((F.col("n") > 1) | F.col("doc_id").isNull())
     if clash.isEmpty():
-        return docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")
+        gone = broadcast_if_few(gone, BROADCAST_KEYS)
+        return docs.join(gone, docs["doc_id"] == gone[name], "left_anti")
     # ids that repeat or are null cannot name a row: the text's hash does
-    keyed = docs.withColumn("_full", F.sha2(normalised(), 256)).withColumn("_row", F.monotonically_increasing_id())
+    keyed = docs.withColumn(full, F.sha2(normalised(), 256)).withColumn(row, F.monotonically_increasing_id())
     keyed = written_table(spark, keyed, "dedup-keyed")
-    first = keyed.groupBy("_full").agg(
-        F.min(F.struct(F.col("doc_id").isNull().alias("n"), F.col("doc_id").alias("d"), F.col("_row").alias("r"))).alias("_m")
-    )
-    first = first.select(F.col("_m.r").alias("_first"))
-    return keyed.join(first, keyed["_row"] == first["_first"], "left_semi").select(*docs.columns)
+    order = F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id"), F.col(row).alias("row"))
+    first = keyed.groupBy(full).agg(F.min(order).alias("_m")).select(F.col("_m.row").alias(name))
+    return keyed.join(first, keyed[row] == first[name], "left_semi").select(*docs.columns)

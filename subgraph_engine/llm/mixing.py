@@ -26,12 +26,15 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from subgraph_engine.functions.ranking import rank_within
-from subgraph_engine.storage import written_table
+from subgraph_engine.functions.sqltools import fresh
+from subgraph_engine.storage import broadcast_if_few, written_table
 
 WORD = r"[^\x20\x09-\x0D]+"
 WEIGHTS = (3.0, 1.0, 2.0)
 OFFSETS = 32
 SEED = 7
+#: Copies per document are broadcast up to this many rows, 16 bytes each.
+BROADCAST_ROWS = 1_000_000
 
 
 def offsets(seed: int = SEED, n: int = OFFSETS) -> list[float]:
@@ -122,8 +125,8 @@ def emit(spark: SparkSession, docs: DataFrame, **options) -> DataFrame:
     Rows that share an id (null included) are taken equally often, as often as
     the most taken of them.
     """
-    taken = mix(spark, docs, **options).select(F.col("doc_id").alias("_id"), F.col("copies").alias("_copies"))
-    taken = taken.groupBy("_id").agg(F.max("_copies").alias("_copies"))
-    rows = docs.join(taken, docs["doc_id"].eqNullSafe(taken["_id"])).filter("_copies > 0")
-    again = F.explode(F.sequence(F.lit(1), F.col("_copies").cast("int")))
-    return rows.withColumn("_again", again).select(*docs.columns)
+    doc_id, copies, again = fresh(docs, "mix_id", "mix_copies", "mix_again")
+    taken = mix(spark, docs, **options).groupBy(F.col("doc_id").alias(doc_id)).agg(F.max("copies").alias(copies))
+    taken = broadcast_if_few(written_table(spark, taken, "mix-taken"), BROADCAST_ROWS)
+    rows = docs.join(taken, docs["doc_id"].eqNullSafe(taken[doc_id])).filter(F.col(copies) > 0)
+    return rows.withColumn(again, F.explode(F.sequence(F.lit(1), F.col(copies).cast("int")))).select(*docs.columns)
