@@ -34,6 +34,7 @@ import heapq
 import json
 from collections.abc import Iterator
 from functools import lru_cache
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -41,10 +42,12 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from subgraph_engine.storage import text_batches
+
 #: The byte-level pretoken pattern of the public tokenizer file.
 PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 PIECE_CHARS = 1 << 16
-CACHE_WORDS = 1 << 18
+CACHE_WORDS = 1 << 17
 CACHED_CHARS = 48
 PAIR_BITS = 24
 
@@ -322,7 +325,9 @@ class StreamEncoder:
         ids = self.table.encode_run(word.encode())
         if len(word) <= CACHED_CHARS:
             if len(self.cache) >= CACHE_WORDS:
-                self.cache.clear()
+                # words that come early are the frequent ones: the later half goes
+                for late in list(islice(self.cache, CACHE_WORDS // 2, None)):
+                    del self.cache[late]
             self.cache[word] = ids
         return ids
 
@@ -359,6 +364,7 @@ RESULT = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
 
 def token_digests(docs: DataFrame, path: str) -> DataFrame:
     """doc_id, n_tokens and digests of the ids and of the decoded text, per document."""
+    text_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = load_table(path)
@@ -383,6 +389,7 @@ def token_digests(docs: DataFrame, path: str) -> DataFrame:
 
 def encode(docs: DataFrame, path: str) -> DataFrame:
     """All columns of ``docs`` and ``token_ids`` (array of int), ``n_tokens`` and ``decoded``."""
+    text_batches(docs.sparkSession)
     kept = [c for c in docs.columns if c not in ("token_ids", "n_tokens", "decoded")]
     fields = [f for f in docs.schema.fields if f.name in kept]
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in fields), "token_ids array<int>, n_tokens long, decoded string"])

@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from subgraph_engine.storage import written_table
+from subgraph_engine.storage import text_batches, written_table
 
 #: A subtree is a template when it is on at least so many different pages of its
 #: host and on at least this share of them.
@@ -309,6 +309,7 @@ RESULT = T.StructType(
 
 def extract(spark: SparkSession, pages: DataFrame) -> DataFrame:
     """page_id, url, text, n_chars: the main text of every page."""
+    text_batches(spark)
     rows = pages.select(F.col("page_id").cast("long"), "url", "html")
     templates = written_table(spark, find_templates(spark, rows), "html-templates")
     if templates.count() <= BROADCAST_TEMPLATES:

@@ -31,6 +31,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from subgraph_engine.storage import text_batches
+
 GRAM = 3
 WINDOW = 2
 BAND = 6
@@ -184,6 +186,7 @@ FOUND = "doc_id long, license string, coverage double, matched_words int, span_s
 
 def scan_licenses(docs: DataFrame, templates: dict[str, list[str]] = TEMPLATES) -> DataFrame:
     """doc_id, license, coverage, matched_words, span_start, span_end: a row per match."""
+    text_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         index = TemplateIndex(templates)

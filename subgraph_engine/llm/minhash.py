@@ -40,7 +40,7 @@ from pyspark.sql import functions as F
 
 from subgraph_engine.functions.components import star_components
 from subgraph_engine.functions.sqltools import fresh
-from subgraph_engine.storage import broadcast_if_few, release, written_table
+from subgraph_engine.storage import broadcast_if_few, release, text_batches, written_table
 
 SIDE = 12
 WIDTH = 3
@@ -153,6 +153,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, words: int = 5, percen
 
 
 def _components(spark: SparkSession, docs: DataFrame, words: int, percent: int) -> DataFrame:
+    text_batches(spark)
     made = shingle_rows(docs, words).withColumn("row", F.monotonically_increasing_id())
     made = written_table(spark, made, "minhash-rows")
     classes = made.filter("n_shingles > 0").groupBy("k1", "k2").agg(F.min("row").alias("node"))

@@ -45,7 +45,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from subgraph_engine.storage import qualified, shared_path, shuffle_width, written_table
+from subgraph_engine.storage import qualified, shared_path, shuffle_width, text_batches, written_table
 
 MAGIC = b"PLN1"
 CHUNK_IDS = 1 << 16
@@ -259,6 +259,7 @@ def write_files(
     placed = rows.repartitionByRange(shuffle_width(spark), order[0]).sortWithinPartitions(*order)
     placed = placed.select("*", F.spark_partition_id().alias("part"))
     end = np.array([end_id], "<u4").tobytes()
+    text_batches(spark)
     folder = qualified(spark, folder)
     _make_folder(spark, folder)
 
