@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from subgraph_engine.functions.ranking import global_rank
 from subgraph_engine.model import EDGE, GraphSpec
 from subgraph_engine.prepare import prepare
+from subgraph_engine.storage import written_table
 from subgraph_engine.tables import load
 
 #: Similarity is compared after rounding to this many places, ties by id.
@@ -166,7 +167,9 @@ def knn(spark: SparkSession, sf_dir: str) -> GraphSpec:
     near = near.withColumn("weight", F.round(dot(F.col("a"), F.col("b")) / (F.col("na") * F.col("nb")), KNN_PLACES))
     best = Window.partitionBy("src").orderBy(F.col("weight").desc(), "dst")
     near = near.select("src", "dst", "weight", F.row_number().over(best).alias("rank")).filter(F.col("rank") <= KNN)
-    return _graph("knn", near.select("src", "dst", "weight"), directed=True, weighted=True)
+    # written once: jobs read edges several times, and all pairs are dear
+    near = written_table(spark, near.select("src", "dst", "weight"), "knn-edges")
+    return _graph("knn", near, directed=True, weighted=True)
 
 
 def doc_dup(spark: SparkSession, sf_dir: str) -> GraphSpec:
