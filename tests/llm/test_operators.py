@@ -312,6 +312,29 @@ def test_toxicity_ignores_held_out_labels(spark, sf_dir):
     assert a.ratio == b.ratio and np.allclose(a.weights, b.weights)
 
 
+def test_toxicity_counts_do_not_stop_at_the_sample(spark, monkeypatch):
+    """Counts are of all labelled rows and types of all documents; a model too large for a broadcast scores alike."""
+    draw = random.Random(5)
+    name = lambda n: "".join(draw.choice("abcdefgh") for _ in range(n))
+    # each toxic form is in three texts alone, so a sample misses most of them
+    forms = ["zz" + name(7) for _ in range(100)]
+    rows = [(i, " ".join([*(name(2) for _ in range(20)), *([forms[i // 2 % 100]] if i % 2 else [])]), i % 2) for i in range(600)]
+    docs = spark.createDataFrame([r[:2] for r in rows], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, t) for i, _, t in rows], "doc_id long, toxic int")
+    counted = {form for i, text, t in rows if t and zlib.crc32(str(i).encode()) % 5 in (1, 2, 3) for form in text.split()[20:]}
+    scorer = toxicity.fit(spark, docs, labels, rows=60)
+    keys = toxicity.node_keys([f"{form}$" for form in sorted(counted)])
+    assert len(counted) > 90 and scorer.ratio.find(keys)[1].all()
+    more = docs.unionByName(spark.createDataFrame([(1000 + k, f"zz{name(9)}") for k in range(200)], docs.schema))
+    assert toxicity.fit(spark, more, labels, rows=60).ratio != scorer.ratio
+    found = {r.doc_id: r.score for r in toxicity.score(spark, docs, scorer).collect()}
+    monkeypatch.setattr(toxicity, "BROADCAST_NODES", 10)
+    large = toxicity.fit(spark, docs, labels, rows=60)
+    assert large.tables and np.allclose(large.weights, scorer.weights)
+    assert {r.doc_id: r.score for r in toxicity.score(spark, docs, large).collect()} == pytest.approx(found)
+    assert toxicity.drop_toxic(spark, docs, large).count() == sum(s < 0.5 for s in found.values())
+
+
 def page(body, url="http://site/x"):
     return html_text.Page(body).main_text(frozenset(), html_text.host_of(url))
 
