@@ -7,8 +7,10 @@ deleted, besides what names itself as furniture (menus, headers, footers,
 sidebars, notices, adverts, forms, scripts, styles, comments).
 
 A page counts once for each different content of its main part, so copies of an
-article do not make its parts a template; headings and paragraphs of an
-``article`` or ``main`` are prose and never a template.
+article do not make its parts a template. How many pages make a template grows with
+the root of the host's pages, so a block of one section or language is found on
+large hosts too; headings and paragraphs of an ``article`` or ``main`` are prose and
+need ``PROSE_TIMES`` as many.
 
 The recurring subtrees are broadcast while their number is below a checked
 bound; beyond it, each page gets its own by a join.
@@ -33,10 +35,11 @@ from pyspark.sql import types as T
 
 from subgraph_engine.storage import text_batches, written_table
 
-#: A subtree is a template when it is on at least so many different pages of its
-#: host and on at least this share of them.
+#: A subtree is a template when it is on at least so many different pages of its host and
+#: on at least the square root of their number: a quarter of 16 pages, a tenth of 100.
 LEAST_PAGES = 4
-LEAST_SHARE = 0.25
+#: Prose of the main part needs so many times the pages.
+PROSE_TIMES = 4
 #: Template subtrees that are broadcast, 8 bytes each, at most.
 BROADCAST_TEMPLATES = 1_000_000
 
@@ -211,7 +214,7 @@ class Page:
         for i in range(1, len(self.tag)):
             gone[i] = gone[self.parent[i]] or self.furniture[i] or self.tag[i] == "header" and not self._within_article(i)
             if templates and not gone[i] and self.candidate(i):
-                gone[i] = template_key(host, self.digest[i]) in templates
+                gone[i] = template_key(host, self.digest[i], self.prose(i)) in templates
         return gone
 
     def _within_article(self, i: int) -> bool:
@@ -222,11 +225,13 @@ class Page:
         return False
 
     def candidate(self, i: int) -> bool:
-        """Whether a subtree may be a template: a block with text that is no prose of the main part."""
+        """Whether a subtree may be a template: a block with text."""
         tag = self.tag[i]
-        if not self.digest[i] or tag not in BLOCK or tag in ("html", "body", "head", "title", "article", "main"):
-            return False
-        return not (self.in_article[i] and (tag in PROSE or self._under_prose(i)))
+        return bool(self.digest[i]) and tag in BLOCK and tag not in ("html", "body", "head", "title", "article", "main")
+
+    def prose(self, i: int) -> bool:
+        """Whether an element is prose of the main part."""
+        return self.in_article[i] and (self.tag[i] in PROSE or self._under_prose(i))
 
     def _under_prose(self, i: int) -> bool:
         while self.parent[i] > 0 and self.in_article[i]:
@@ -235,14 +240,14 @@ class Page:
                 return True
         return False
 
-    def subtrees(self) -> tuple[int, set[int]]:
-        """A digest of the page's main part, and those of its candidate subtrees."""
+    def subtrees(self) -> tuple[int, set[tuple[int, bool]]]:
+        """A digest of the page's main part, and those of its candidate subtrees, each with whether it is prose."""
         inside = self.scope()
         main = hashlib.blake2b(digest_size=8)
         for i, text in self.pieces:
             if text and inside[i]:
                 main.update(text.strip().encode("utf-8", "replace"))
-        found = {self.digest[i] for i in range(1, len(self.tag)) if self.candidate(i)}
+        found = {(self.digest[i], self.prose(i)) for i in range(1, len(self.tag)) if self.candidate(i)}
         return int.from_bytes(main.digest(), "little", signed=True), found
 
     def main_text(self, templates, host: str) -> str:
@@ -260,8 +265,8 @@ class Page:
         return " ".join(b for b in blocks if b)
 
 
-def template_key(host: str, digest: int) -> int:
-    mixed = hashlib.blake2b(f"{host}\x1f{digest}".encode("utf-8", "replace"), digest_size=8).digest()
+def template_key(host: str, digest: int, prose: bool = False) -> int:
+    mixed = hashlib.blake2b(f"{host}\x1f{digest}{'p' * prose}".encode("utf-8", "replace"), digest_size=8).digest()
     return int.from_bytes(mixed, "little", signed=True)
 
 
@@ -271,30 +276,33 @@ def host_of(url: str | None) -> str:
 
 
 def subtree_rows(pages: DataFrame) -> DataFrame:
-    """host, main (digest of the main part), key (of host and subtree); distinct within a page."""
+    """host, main (digest of the main part), key (of host and subtree), prose; distinct within a page."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            hosts, mains, keys = [], [], []
+            hosts, mains, keys, prose = [], [], [], []
             for url, markup in zip(batch.column("url").to_pylist(), batch.column("html").to_pylist()):
                 host = host_of(url)
                 main, found = Page(markup or "").subtrees()
                 hosts += [host] * (len(found) + 1)
                 mains += [main] * (len(found) + 1)
-                keys += [None, *(template_key(host, d) for d in sorted(found))]
-            columns = [pa.array(hosts, pa.string()), pa.array(mains, pa.int64()), pa.array(keys, pa.int64())]
-            yield pa.RecordBatch.from_arrays(columns, ["host", "main", "key"])
+                found = sorted(found)
+                keys += [None, *(template_key(host, *f) for f in found)]
+                prose += [False, *(f[1] for f in found)]
+            columns = [pa.array(hosts, pa.string()), pa.array(mains, pa.int64()), pa.array(keys, pa.int64()), pa.array(prose, pa.bool_())]
+            yield pa.RecordBatch.from_arrays(columns, ["host", "main", "key", "prose"])
 
-    return pages.select("url", "html").mapInArrow(run, "host string, main long, key long")
+    return pages.select("url", "html").mapInArrow(run, "host string, main long, key long, prose boolean")
 
 
 def find_templates(spark: SparkSession, pages: DataFrame) -> DataFrame:
     """key of every subtree that recurs on many different pages of its host."""
-    once = subtree_rows(pages).groupBy("host", "key", "main").agg(F.lit(1).alias("_1"))
-    counts = written_table(spark, once.groupBy("host", "key").agg(F.count(F.lit(1)).alias("pages")), "html-subtrees")
+    once = subtree_rows(pages).groupBy("host", "key", "prose", "main").agg(F.lit(1).alias("_1"))
+    counts = written_table(spark, once.groupBy("host", "key", "prose").agg(F.count(F.lit(1)).alias("pages")), "html-subtrees")
     sites = counts.filter("key is null").select("host", F.col("pages").alias("all_pages"))
     often = counts.filter(f"key is not null and pages >= {LEAST_PAGES}").join(sites, "host")
-    return often.filter(F.col("pages") >= F.col("all_pages") * LEAST_SHARE).select("key").distinct()
+    least = F.greatest(F.lit(float(LEAST_PAGES)), F.sqrt("all_pages")) * F.when(F.col("prose"), PROSE_TIMES).otherwise(1)
+    return often.filter(F.col("pages") >= least).select("key").distinct()
 
 
 RESULT = T.StructType(
@@ -329,7 +337,7 @@ def _extract_joined(rows: DataFrame, templates: DataFrame) -> DataFrame:
                 host = host_of(url)
                 found = sorted(Page(markup or "").subtrees()[1])
                 names += [own] * len(found)
-                keys += [template_key(host, d) for d in found]
+                keys += [template_key(host, *f) for f in found]
             yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array(keys, pa.int64())], ["name", "key"])
 
     has = rows.select(name.alias("name"), "url", "html").mapInArrow(run, "name long, key long")

@@ -347,6 +347,21 @@ def test_main_text():
     assert page("<main><header><h1>Title</h1></header><p>body</main><header>site</header>") == "Title body"
 
 
+def test_templates_of_sections_and_in_articles(spark):
+    """A block on a tenth of a host's pages is a template, so is a paragraph of the article on most; rare ones stay."""
+    def body(k):
+        box = "<div class=x1>Join our section today</div>" if k % 10 == 0 else ""
+        rare = "<div class=x2>Only here and there</div>" if k % 100 < 4 else ""
+        once = "<h2>Results</h2>" if k % 10 == 1 else ""
+        return f"<main>{once}<p>story number {k} of the day</p><p>All rights of this site are kept.</p>{box}{rare}</main>"
+
+    pages = spark.createDataFrame([(k, "http://d.example/p", body(k)) for k in range(200)], "page_id long, url string, html string")
+    got = {r.page_id: r.text for r in html_text.extract(spark, pages).collect()}
+    assert got[50] == "story number 50 of the day"
+    assert got[2] == "story number 2 of the day Only here and there"
+    assert got[11] == "Results story number 11 of the day"
+
+
 def test_site_templates(spark):
     """A block that many different pages of a host have goes; copies of one article keep their text."""
     template = "<div class='promo-free'><span>Follow us everywhere</span></div>"
