@@ -19,17 +19,23 @@ _own_root: list[str] = []
 def shared_root(spark: SparkSession) -> str:
     """The folder that driver and executors share: ``spark.checkpoint.dir``.
 
-    Only a session without that setting (tests, a laptop) gets a folder of its
-    own, which is right in local mode alone.
+    Only a local session without that setting (tests, a laptop) gets a folder of
+    its own; on a cluster executors could not read it, so that is an error.
     """
     configured = spark.conf.get("spark.checkpoint.dir", None)
     if configured:
         return configured.rstrip("/")
+    if not _is_local(spark.sparkContext.master):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
     if not _own_root:
         _own_root.append(tempfile.mkdtemp(prefix="subgraph_engine_"))
     return f"file://{_own_root[0]}"
 
 
+def _is_local(master: str) -> bool:
+    return master == "local" or master.startswith("local[")
+
+
 def qualified(spark: SparkSession, path: str) -> str:
     """The path with the scheme of the file system that Spark finds it on."""
     conf = spark.sparkContext._jsc.hadoopConfiguration()
@@ -74,17 +80,16 @@ def shuffle_width(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
-#: Rows of an Arrow batch that carries whole texts.
-TEXT_ROWS = 512
-_BATCH_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch"
+#: Bytes of an Arrow batch that carries whole texts.
+TEXT_BYTES = "16m"
+_BATCH_BYTES = "spark.sql.execution.arrow.maxBytesPerBatch"
 
 
 def text_batches(spark: SparkSession) -> None:
-    """Lowers the session's rows per Arrow batch, which is bounded by rows alone.
+    """Bounds Arrow batches by bytes, in a session that has no bound of its own.
 
     Batches of ten thousand long texts take hundreds of MB on both sides of the
-    socket. The setting is of the running session and read when a query is planned.
+    socket. The setting is read when a query runs, so it stays with the session.
     """
-    rows = int(spark.conf.get(_BATCH_ROWS))
-    if rows <= 0 or rows > TEXT_ROWS:
-        spark.conf.set(_BATCH_ROWS, str(TEXT_ROWS))
+    if spark.conf.get(_BATCH_BYTES, None) is None:
+        spark.conf.set(_BATCH_BYTES, TEXT_BYTES)
