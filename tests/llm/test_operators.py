@@ -309,7 +309,7 @@ def test_toxicity_ignores_held_out_labels(spark, sf_dir):
 
     turned = labels.withColumn("toxic", F.when(toxicity.fold() == 0, 1 - F.col("toxic")).otherwise(F.col("toxic")))
     a, b = (toxicity.fit(spark, docs, x) for x in (labels, turned))
-    assert a.ratio == b.ratio and np.allclose(a.weights, b.weights)
+    assert a.entries == b.entries and np.allclose(a.weights, b.weights)
 
 
 def test_toxicity_counts_do_not_stop_at_the_sample(spark, monkeypatch):
@@ -323,18 +323,97 @@ def test_toxicity_counts_do_not_stop_at_the_sample(spark, monkeypatch):
     labels = spark.createDataFrame([(i, t) for i, _, t in rows], "doc_id long, toxic int")
     counted = {form for i, text, t in rows if t and zlib.crc32(str(i).encode()) % 5 in (1, 2, 3) for form in text.split()[20:]}
     scorer = toxicity.fit(spark, docs, labels, rows=60)
-    keys = toxicity.node_keys([f"{form}$" for form in sorted(counted)])
-    assert len(counted) > 90 and scorer.ratio.find(keys)[1].all()
+    keys = toxicity.word_keys([f"n{form}$" for form in sorted(counted)])
+    assert len(counted) > 90 and scorer.entries.find(keys)[2].all()
     more = docs.unionByName(spark.createDataFrame([(1000 + k, f"zz{name(9)}") for k in range(200)], docs.schema))
-    assert toxicity.fit(spark, more, labels, rows=60).ratio != scorer.ratio
+    assert toxicity.fit(spark, more, labels, rows=60).entries != scorer.entries
     found = {r.doc_id: r.score for r in toxicity.score(spark, docs, scorer).collect()}
-    monkeypatch.setattr(toxicity, "BROADCAST_NODES", 10)
+    monkeypatch.setattr(toxicity, "BROADCAST_ENTRIES", 10)
     large = toxicity.fit(spark, docs, labels, rows=60)
-    assert large.tables and np.allclose(large.weights, scorer.weights)
+    assert large.table is not None and np.allclose(large.weights, scorer.weights)
     assert {r.doc_id: r.score for r in toxicity.score(spark, docs, large).collect()} == pytest.approx(found)
     assert toxicity.drop_toxic(spark, docs, large).count() == sum(s < 0.5 for s in found.values())
 
 
+def brute_toxicity(rows, labels):
+    """The ratio of any text by dictionaries, from the definition."""
+    import math
+    from collections import Counter, defaultdict
+
+    split = lambda t: toxicity.WORD.findall((t or "").lower())
+    known = {i: t for i, t in labels if zlib.crc32(str(i).encode()) % 5 in (1, 2, 3)}
+    held, places, contexts, nodes = [Counter(), Counter()], [Counter(), Counter()], [defaultdict(set), defaultdict(set)], [Counter(), Counter()]
+    everything = {w for _, text in rows for w in split(text)}
+    path = lambda w: ["", *(w[:k] for k in toxicity.STEMS if k < len(w)), w + "$"]
+    for i, text in rows:
+        if i in known:
+            words = split(text)
+            held[known[i]].update(set(words))
+            places[known[i]].update(words)
+            for k in range(1, len(words)):
+                contexts[known[i]][words[k - 1], words[k]].add(words[k - 2] if k > 1 else None)
+    children = defaultdict(set)
+    for w in everything:
+        for a, b in zip(path(w), path(w)[1:]):
+            children[a].add(b)
+            for c in (0, 1):
+                nodes[c][b] += held[c][w]
+    frequent = {w for w in everything if held[0][w] + held[1][w] >= toxicity.PAIR_DOCUMENTS}
+    above = [Counter(), Counter()]
+    for c in (0, 1):
+        for pair, seen in contexts[c].items():
+            if set(pair) <= frequent and len(seen) > toxicity.PAIR_DISCOUNT:
+                above[c][pair] = len(seen) - toxicity.PAIR_DISCOUNT
+
+    def likelihood(c, w):
+        total = 0.0
+        for a, b in zip(path(w), path(w)[1:]):
+            kids = children[a]
+            m = [sum(nodes[k][x] for x in kids) for k in (0, 1)]
+            t = [sum(nodes[k][x] > 0 for x in kids) for k in (0, 1)]
+            freed = toxicity.DISCOUNT * t[c] / m[c] if m[c] else 1.0
+            if not nodes[0][b] and not nodes[1][b]:
+                total += math.log(freed)
+                continue
+            shared = ((nodes[0][b] > 0) + (nodes[1][b] > 0) + 1.5) / (sum(t) + len(kids) + 1)
+            own = max(nodes[c][b] - toxicity.DISCOUNT, 0) / m[c] if m[c] else 0.0
+            total += math.log(own + freed * shared)
+        return total
+
+    def step(c, before, w):
+        base = likelihood(c, w)
+        if before is None:
+            return base
+        n = places[c][before]
+        left = 1 - sum(k for (h, _), k in above[c].items() if h == before) / n if n else 1.0
+        both = (before, w) in above[0] or (before, w) in above[1]
+        return math.log(above[c][before, w] / n + left * math.exp(base)) if both and n else base + math.log(left)
+
+    def ratio(text):
+        words = split(text)
+        return max((step(1, h, w) - step(0, h, w) for h, w in zip([None, *words], words)), default=0.0)
+
+    return ratio
+
+
+def test_toxicity_by_dictionaries(spark):
+    """Words, stems, pairs and unseen forms; pairs that copies repeat do not count as frequent."""
+    draw = random.Random(9)
+    words = ["the", "of", "market", "marketing", "dog", "idiot", "idiotic", "very", "ab", "é", "straße"]
+    rows, labels = [], []
+    for i in range(160):
+        text = " ".join(draw.choice(words[:5] + words[8:]) for _ in range(12))
+        if i % 4 == 0:
+            text += f" {draw.choice(words)} very {draw.choice(['idiot', 'idiotic'])} {draw.choice(words)}."
+        rows.append((i, text if i % 10 else "the market of the very dog"))
+        labels.append((i, int(i % 4 == 0)))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    scorer = toxicity.fit(spark, docs, spark.createDataFrame(labels, "doc_id long, toxic int"))
+    ratio = brute_toxicity(rows, labels)
+    asked = [t for _, t in rows] + ["", None, "idiotically", "xyz", "very very", "The very idiot's dog, straße"]
+    assert scorer.ratios(asked) == pytest.approx([ratio(t) for t in asked], abs=1e-4)
+
+
 def page(body, url="http://site/x"):
     return html_text.Page(body).main_text(frozenset(), html_text.host_of(url))
 
