@@ -13,8 +13,11 @@ them. Two bounds make that possible:
   been read are the tokens of the whole. A boundary that stays in place makes
   both sides independent, so the rest is encoded from there on.
 
-Memory is bounded by the piece size, the lookahead and a word cache of fixed size,
-not by the text. Decoding feeds each id's bytes to a UTF-8 state machine that
+Every document is fed in pieces of ``PIECE_CHARS``. After each piece, what ends at a
+final boundary goes out, and of an open pretoken longer than twice the lookahead
+what no later byte can reach; only its last ``lookahead`` bytes are held. Memory is
+bounded by the piece size, the lookahead and a word cache of fixed size, not by
+the text. Decoding feeds each id's bytes to a UTF-8 state machine that
 emits characters when they are complete and U+FFFD for broken sequences.
 
 The lookahead argument needs a proper merge list (parts of a rule are made by
@@ -22,8 +25,9 @@ earlier rules); ``MergeTable`` checks that, and ``StreamEncoder`` keeps whole
 pretokens where it does not hold.
 
 Defined results: null text is encoded as empty; empty text gives no ids and decodes
-to the empty text; rows are independent, so ties, repeats, and extra columns
-have no effect.
+to the empty text; rows are independent, so ties and repeats have no effect; extra
+columns stay, and where one has the name of a result, the result's name is
+lengthened by ``_``.
 """
 
 from __future__ import annotations
@@ -41,12 +45,14 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
+from subgraph_engine.functions.sqltools import fresh
 from subgraph_engine.storage import text_batches
 
 #: The byte-level pretoken pattern of the public tokenizer file.
 PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
-PIECE_CHARS = 1 << 16
+PIECE_CHARS = 1 << 11
 CACHE_WORDS = 1 << 18
 CACHED_CHARS = 48
 PAIR_BITS = 24
@@ -169,8 +175,9 @@ class RunEncoder:
         self.table, self.held = table, b""
 
     def feed(self, data: bytes) -> list[int]:
+        """Ids that no later byte can change; encodes again what it holds, so not before that has doubled."""
         self.held += data
-        if not self.table.proper or len(self.held) < 4096 + 4 * self.table.lookahead:
+        if not self.table.proper or len(self.held) <= 2 * self.table.lookahead:
             return []
         stable, out, at = len(self.held) - self.table.lookahead, [], 0
         for i in self.table.encode_run(self.held):
@@ -228,7 +235,7 @@ class StreamEncoder:
         if cut:
             out += self._segments(self.held[:cut])
             self.held = self.held[cut:]
-        elif len(self.held) >= 2 * PIECE_CHARS:
+        if len(self.held) > 2 * self.table.lookahead + self.tail:
             out += self._outgrown()
         return out
 
@@ -240,7 +247,7 @@ class StreamEncoder:
         spans = [m.span() for m in self.specials.finditer(self.held)] if self.specials and self._may_hold() else []
         pos = limit
         while pos > 0:
-            m = self._ends.search(self.held, 0, len(self.held)) if pos >= len(self.held) else self._before(pos)
+            m = self._before(pos)
             if m is None:
                 return 0
             inside = next((a for a, b in spans if a < m < b), None)
@@ -252,7 +259,7 @@ class StreamEncoder:
         return 0
 
     def _before(self, pos: int) -> int | None:
-        m = self._ends.search(self.held[: pos + 1])
+        m = self._ends.search(self.held, 0, pos + 1)
         return m.start() if m else None
 
     def _outgrown(self) -> list[int]:
@@ -388,11 +395,11 @@ def token_digests(docs: DataFrame, path: str) -> DataFrame:
 
 
 def encode(docs: DataFrame, path: str) -> DataFrame:
-    """All columns of ``docs`` and ``token_ids`` (array of int), ``n_tokens`` and ``decoded``."""
+    """All columns of ``docs`` and, as the last three, ``token_ids`` (array of int), ``n_tokens`` and ``decoded``."""
     text_batches(docs.sparkSession)
-    kept = [c for c in docs.columns if c not in ("token_ids", "n_tokens", "decoded")]
-    fields = [f for f in docs.schema.fields if f.name in kept]
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in fields), "token_ids array<int>, n_tokens long, decoded string"])
+    kept, made = docs.columns, fresh(docs, "token_ids", "n_tokens", "decoded")
+    kinds = [T.ArrayType(T.IntegerType()), T.LongType(), T.StringType()]
+    schema = T.StructType([*docs.schema.fields, *(T.StructField(n, k) for n, k in zip(made, kinds))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = load_table(path)
@@ -414,9 +421,9 @@ def encode(docs: DataFrame, path: str) -> DataFrame:
                     pa.array([len(x) for x in ids], pa.int64()),
                     pa.array(texts, pa.string()),
                 ]
-                yield pa.RecordBatch.from_arrays(columns, [*kept, "token_ids", "n_tokens", "decoded"])
+                yield pa.RecordBatch.from_arrays(columns, [*kept, *made])
 
-    return docs.select(*kept).mapInArrow(run, schema)
+    return docs.mapInArrow(run, schema)
 
 
 def byte_bpe_path() -> str:

@@ -105,8 +105,10 @@ def test_bpe(spark, odd, none):
     )
     assert sorted((str(r.doc_id), r.n_tokens, r.ids_sha256, r.decoded_sha256) for r in rows) == want
     assert bpe.token_digests(none, bpe.byte_bpe_path()).count() == 0
-    encoded = bpe.encode(odd.withColumn("token_ids", odd["size"]), bpe.byte_bpe_path())
-    assert all(r.decoded == (r.text or "") and r.n_tokens == len(r.token_ids) for r in encoded.collect())
+    clashing = odd.withColumn("token_ids", odd["size"]).withColumn("Decoded", odd["lang"])
+    encoded = bpe.encode(clashing, bpe.byte_bpe_path())
+    assert encoded.columns == [*clashing.columns, "token_ids_", "n_tokens", "decoded_"]
+    assert all(r.decoded_ == (r.text or "") and r.n_tokens == len(r.token_ids_) and r.token_ids == 7 for r in encoded.collect())
 
 
 def test_planes(spark, odd, none, tmp_path):

@@ -124,11 +124,27 @@ def test_runs_without_end_keep_bounded_memory(table, library, unit):
             out += run.feed(text[at : at + 1000].encode())
             most = max(most, len(run.held))
         out += run.finish()
-        assert most < 4096 + 5 * table.lookahead + 1000
+        assert most <= 2 * table.lookahead + 1000
         assert out == library.encode(text, add_special_tokens=False).ids
     assert encode(table, text, 5000) == library.encode(text, add_special_tokens=False).ids
 
 
+@pytest.mark.parametrize("unit", ["abcdefghij", "ACGT", "=", " ", "12"])
+def test_pieces_of_documents_go_out_by_lookahead(table, library, unit, monkeypatch):
+    """Documents of a few thousand characters with a long run: ids come before the run ends, and little is held."""
+    runs, real = [], bpe.RunEncoder
+    monkeypatch.setattr(bpe, "RunEncoder", lambda t: runs.append(real(t)) or runs[-1])
+    text = f"before {unit * (8000 // len(unit))} after it"
+    encoder, early = bpe.StreamEncoder(table), 0
+    for piece in bpe._pieces(text[: len(text) - 9]):
+        early += len(encoder.feed(piece))
+        held = len(encoder.held) + sum(len(r.held) for r in runs)
+        assert held <= 2 * bpe.PIECE_CHARS + 2 * table.lookahead
+    assert runs or early
+    ids = [i for some in bpe.encode_stream(table, bpe._pieces(text)) for i in some]
+    assert ids == library.encode(text, add_special_tokens=False).ids
+
+
 def test_lookahead_is_finite_and_proper(table):
     assert table.proper and 0 < table.lookahead < 10_000
 
