@@ -1,15 +1,21 @@
-"""License notices in documents, by winnowed fingerprints and banded alignment.
+"""License notices and texts in documents, by winnowed fingerprints and banded alignment.
 
-Templates are cut into word triples; winnowing keeps the smallest hash of every
-window of triples, so any stretch of ``WINDOW + GRAM - 1`` words that a document
-shares with a template holds a kept fingerprint. The fingerprints are an inverted
-index to (template, place). A document's triples that are in the index vote for
-diagonals (its place minus the template's), and around each such diagonal a local
-alignment over words, in a band, finds what is matched, changed or left out.
+Templates are the whole texts in ``licenses/`` and the notices below, by which
+licenses are applied. They are cut into word triples; winnowing keeps the smallest
+hash of every window of triples, so any stretch of ``WINDOW + GRAM - 1`` words that a
+document shares with a template holds a kept fingerprint. The fingerprints are an
+inverted index to (template, place). A document's triples that are in the index are
+chained per template: places that go on in both, with a drift of at most ``BAND``
+words from one to the next. Along each chain a local alignment over words, in a
+band, finds what is matched, changed, added or left out.
 
-A match has the template's name, the coverage (matched words over the template's
-words), and the span of the document from its first to its last matched word, in
-characters. Of matches that overlap, the one with the best alignment stays.
+A match has the template's name, its coverage, and the span of the document from
+its first to its last matched word, in characters of the text as it is. Coverage is
+matched words over the template's words and the span's unmatched words together,
+so an inserted word costs as much as a missing one. A notice of up to ``SHORT`` words
+is reported from a coverage of ``COVERAGE`` on; of longer templates every passage of
+at least ``PASSAGE`` matched words that make up ``COVERAGE`` of its span is, with the
+coverage it has. Of matches that overlap, the one with the best alignment stays.
 
 The index is as large as the templates, a parameter; documents are read whole, one
 at a time, with no shuffle.
@@ -22,9 +28,11 @@ columns are ignored.
 
 from __future__ import annotations
 
+import hashlib
 import re
 from collections import defaultdict
 from collections.abc import Iterator
+from importlib import resources
 
 import numpy as np
 import pyarrow as pa
@@ -34,21 +42,26 @@ from pyspark.sql import functions as F
 from subgraph_engine.storage import text_batches
 
 GRAM = 3
-WINDOW = 2
+WINDOW = 4
 BAND = 6
+#: Words from one fingerprint of a chain to the next, and words that are looked at before and after it.
+REACH = 40
+SHORT = 16
+PASSAGE = 12
 COVERAGE = 0.75
 MATCH, CHANGE, GAP = 2, -1, -1
 
 # Notices by which public licenses are applied.
-TEMPLATES: dict[str, list[str]] = {
+NOTICES: dict[str, list[str]] = {
+    "AGPL-3.0": [
+        "This work is licensed under the GNU Affero General Public License, version 3.",
+        "This program is free software: you can redistribute it and/or modify it under the terms of the GNU Affero General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.",
+    ],
     "Apache-2.0": [
         "Licensed under the Apache License, Version 2.0.",
         'Licensed under the Apache License, Version 2.0 (the "License"); you may not use this file except in compliance with the License. You may obtain a copy of the License at',
         'Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an "AS IS" BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.',
     ],
-    "BSD-2-Clause": [
-        "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met:",
-    ],
     "CC-BY-4.0": [
         "Licensed under CC BY 4.0.",
         "This work is licensed under a Creative Commons Attribution 4.0 International License.",
@@ -61,20 +74,26 @@ TEMPLATES: dict[str, list[str]] = {
         "Licensed under CC BY-SA 4.0.",
         "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License.",
     ],
+    "EPL-2.0": [
+        "This program and the accompanying materials are made available under the terms of the Eclipse Public License 2.0 which is available at",
+    ],
     "GPL-2.0": [
         "This work is licensed under the GNU General Public License, version 2.",
+        "This program is free software; you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation; either version 2 of the License, or (at your option) any later version.",
     ],
     "GPL-3.0": [
         "This work is licensed under the GNU General Public License, version 3.",
         "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.",
     ],
+    "LGPL-2.1": [
+        "This library is free software; you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation; either version 2.1 of the License, or (at your option) any later version.",
+    ],
     "LGPL-3.0": [
         "This work is licensed under the GNU Lesser General Public License, version 3.",
     ],
     "MIT": [
         "Released under the MIT License.",
         "Licensed under the MIT License.",
-        'Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the "Software"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions:',
     ],
     "MPL-2.0": [
         "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.",
@@ -84,6 +103,15 @@ TEMPLATES: dict[str, list[str]] = {
 _WORD = re.compile(r"[^\W_]+(?:\.[0-9]+)*")
 
 
+def templates_of_files() -> dict[str, list[str]]:
+    """The notices, and the whole texts beside them."""
+    found = {name: list(texts) for name, texts in NOTICES.items()}
+    for file in resources.files("subgraph_engine.llm").joinpath("licenses").iterdir():
+        if file.name.endswith(".txt"):
+            found.setdefault(file.name.removesuffix(".txt"), []).append(file.read_text(encoding="utf-8"))
+    return found
+
+
 def words_of(text: str) -> list[str]:
     return _WORD.findall(text.lower())
 
@@ -98,15 +126,18 @@ def winnow(hashes: list[int], window: int = WINDOW) -> set[int]:
 class TemplateIndex:
     """Fingerprints of templates; words are numbered by the templates' vocabulary, 0 is any other."""
 
-    def __init__(self, templates: dict[str, list[str]] = TEMPLATES):
+    def __init__(self, templates: dict[str, list[str]] | None = None):
+        templates = templates_of_files() if templates is None else templates
         self.names = [name for name in sorted(templates) for _ in templates[name]]
-        self.words = [words_of(text) for name in sorted(templates) for text in templates[name]]
-        vocabulary = sorted({w for words in self.words for w in words})
+        words = [words_of(text) for name in sorted(templates) for text in templates[name]]
+        vocabulary = sorted({w for own in words for w in own})
         self.number = {w: k + 1 for k, w in enumerate(vocabulary)}
         self.base = len(vocabulary) + 1
+        self.words = [[self.number[w] for w in own] for own in words]
+        self.vocabulary = [set(own) for own in self.words]
         self.places: dict[int, list[tuple[int, int]]] = defaultdict(list)
-        for t, words in enumerate(self.words):
-            grams = self.grams(np.array([self.number[w] for w in words], np.int64)).tolist()
+        for t, own in enumerate(self.words):
+            grams = self.grams(np.array(own, np.int64)).tolist()
             # mixed, so that "smallest" is no matter of the alphabet
             for k in winnow([(g * 0x9E3779B97F4A7C15) & (2**64 - 1) for g in grams]):
                 self.places[grams[k]].append((t, k))
@@ -120,76 +151,184 @@ class TemplateIndex:
         whole = (parts[0] * self.base + parts[1]) * self.base + parts[2]
         return np.where(np.minimum.reduce(parts) > 0, whole, -1)
 
+    def hits(self, grams: np.ndarray) -> list[int]:
+        """Places of a document's triples that are in the index."""
+        usable = np.flatnonzero(grams >= 0)
+        if not len(usable) or not len(self.keys):
+            return []
+        at = np.minimum(np.searchsorted(self.keys, grams[usable]), len(self.keys) - 1)
+        return usable[self.keys[at] == grams[usable]].tolist()
+
     def scan(self, text: str | None) -> list[tuple[str, float, int, int, int]]:
         """(license, coverage, matched words, start, end), in order of start."""
         if not text:
             return []
-        # lower case may change a text's length: spans are of the text as it is
-        lower = text.lower()
         number = self.number
-        found = _WORD.findall(lower)
-        grams = self.grams(np.fromiter((number.get(w, 0) for w in found), np.int64, len(found)))
-        at = np.flatnonzero(np.isin(grams, self.keys))
-        if not len(at):
+        lower = text.lower()
+        if len(lower) == len(text):  # letter by letter, so places are those of the text
+            source, found = lower, _WORD.findall(lower)
+        else:
+            source, found = text, [w.lower() for w in _WORD.findall(text)]
+        ids = np.fromiter((number.get(w, 0) for w in found), np.int64, len(found))
+        grams = self.grams(ids)
+        at = self.hits(grams)
+        if not at:
             return []
-        spans = [m.span() for m in _WORD.finditer(text if len(lower) == len(text) else lower)]
-        hits: dict[int, list[tuple[int, int]]] = defaultdict(list)
-        for p in at.tolist():
+        anchors: dict[int, list[tuple[int, int]]] = defaultdict(list)
+        for p in at:
             for t, k in self.places[int(grams[p])]:
-                hits[t].append((p - k, p))
-        best = []
-        for t, places in hits.items():
-            left = list(found)  # what no match of this template has taken
-            tried = None
-            for offset, p in sorted(places):
-                if not left[p] or offset == tried:
-                    continue
-                while left[p]:
-                    score, matched, a, b = align(self.words[t], left, offset)
-                    coverage = matched / len(self.words[t])
-                    if coverage < COVERAGE:
-                        tried = offset
-                        break
-                    best.append((-score, self.names[t], a, b, coverage, matched))
-                    left[a : b + 1] = [""] * (b + 1 - a)
-        kept = []
-        for _, name, a, b, coverage, matched in sorted(best):
-            if all(b < c or a > d for _, c, d, _, _ in kept):
-                kept.append((name, a, b, coverage, matched))
-        rows = [(name, coverage, matched, spans[a][0], spans[b][1]) for name, a, b, coverage, matched in kept]
+                anchors[t].append((p, k))
+        document = ids.tolist()
+        best: set[tuple[int, str, int, int, float, int]] = set()
+        found_chains = [(t, chain) for t, places in anchors.items() for chain in chains(places)]
+        for t, chain in sorted(found_chains, key=lambda c: -len(c[1])):
+            # what lies inside a match that scores more than this chain can would give way to it
+            first, last = chain[0][0], chain[-1][0]
+            most = MATCH * min(len(self.words[t]), last - first + GRAM + 2 * REACH)
+            if any(a <= first and last <= b and -score > most for score, _, a, b, _, _ in best):
+                continue
+            if match := self._match(t, chain, document):
+                best.add(match)
+        spans = [m.span() for m in _WORD.finditer(source)] if best else []
+        kept: list[tuple[int, str, int, int, float, int]] = []
+        for match in sorted(best):
+            if all(match[3] < a or match[2] > b for _, _, a, b, _, _ in kept):
+                kept.append(match)
+        rows = [(name, coverage, matched, spans[a][0], spans[b][1]) for _, name, a, b, coverage, matched in kept]
         return sorted(rows, key=lambda r: (r[3], r[0]))
 
+    def _match(self, t: int, chain: list[tuple[int, int]], document: list[int]) -> tuple[int, str, int, int, float, int] | None:
+        """(-score, name, first, last, coverage, matched) of a chain's alignment, where it is worth a report."""
+        own = self.words[t]
+        short = len(own) <= SHORT
+        if short:
+            p, k = chain[0]
+            near = document[max(0, p - k - BAND) : p - k + len(own) + BAND]
+            if len(self.vocabulary[t].intersection(near)) < COVERAGE * len(self.vocabulary[t]):
+                return None
+        elif chain[-1][0] - chain[0][0] + GRAM + 2 * (WINDOW + GRAM) < PASSAGE:
+            return None
+        score, matched, a, b = align(own, document, chain)
+        span = b - a + 1
+        coverage = matched / (len(own) + span - matched)
+        good = coverage >= COVERAGE if short else matched >= PASSAGE and matched >= COVERAGE * span
+        return (-score, self.names[t], a, b, coverage, matched) if good else None
 
-def align(template: list[str], words: list[str], offset: int, band: int = BAND) -> tuple[int, int, int, int]:
-    """Score, matched words, first and last matched place in ``words`` of the best local alignment near a diagonal."""
-    none = (0, 0, -1, -1)  # score, matched, first, last
-    best = none
-    before: dict[int, tuple[int, int, int, int]] = {}
-    for i, w in enumerate(template):
-        now: dict[int, tuple[int, int, int, int]] = {}
-        for j in range(max(0, offset + i - band), min(len(words), offset + i + band + 1)):
-            s, n, a, z = before.get(j - 1, none)
+
+def chains(places: list[tuple[int, int]]) -> list[list[tuple[int, int]]]:
+    """Anchors (place in the document, place in the template) that go on from each other.
+
+    Anchors of one diagonal that are near make a run; runs are linked to the heaviest
+    chains, so that a phrase which the template repeats does not lead astray.
+    """
+    runs: list[list[tuple[int, int]]] = []
+    last: dict[int, list[tuple[int, int]]] = {}
+    for p, k in sorted(places):
+        run = last.get(p - k)
+        if run is not None and p - run[-1][0] <= REACH:
+            run.append((p, k))
+        else:
+            last[p - k] = run = [(p, k)]
+            runs.append(run)
+    weight, before = [len(r) for r in runs], [-1] * len(runs)
+    near: list[int] = []  # earlier runs that may go on
+    order = sorted(range(len(runs)), key=lambda i: runs[i][-1][0])
+    ended = 0
+    for i, run in enumerate(runs):
+        p, k = run[0]
+        while ended < len(order) and runs[order[ended]][-1][0] < p:
+            near.append(order[ended])
+            ended += 1
+        near = [j for j in near if p - runs[j][-1][0] <= REACH]
+        for j in near:
+            q, m = runs[j][-1]
+            if m < k <= m + REACH and abs(p - k - q + m) <= BAND and weight[j] + len(run) > weight[i]:
+                weight[i], before[i] = weight[j] + len(run), j
+    out, used = [], set()
+    for i in sorted(range(len(runs)), key=lambda i: (-weight[i], i)):
+        chain, at = [], i
+        while at >= 0 and at not in used:
+            used.add(at)
+            chain.append(at)
+            at = before[at]
+        if chain:
+            out.append([anchor for j in reversed(chain) for anchor in runs[j]])
+    return out
+
+
+#: A cell holds its score above and its matched words below, so comparing cells compares both.
+UNIT = 1 << 24
+
+
+def align(template: list[int], words: list[int], chain: list[tuple[int, int]], band: int = BAND) -> tuple[int, int, int, int]:
+    """Score, matched words, first and last matched place in ``words`` of the best local alignment along a chain.
+
+    The band lies around the diagonal of the last anchor, and reaches to that of the next.
+    """
+    hit, miss = MATCH * UNIT + 1, CHANGE * UNIT
+    best = (0, -1, -1)
+    cells, firsts, lasts, begin = [], [], [], 0
+    at, size = 0, len(words)
+    for i in range(max(0, chain[0][1] - REACH), min(len(template), chain[-1][1] + GRAM + REACH)):
+        while at + 1 < len(chain) and chain[at + 1][1] <= i:
+            at += 1
+        here = chain[at][0] - chain[at][1]
+        ahead = chain[min(at + 1, len(chain) - 1)]
+        there = ahead[0] - ahead[1] if i >= chain[0][1] else here
+        w = template[i]
+        low, high = max(0, i + min(here, there) - band), min(size, i + max(here, there) + band + 1)
+        row, row_first, row_last = [], [], []
+        left = left_first = left_last = 0
+        held = len(cells)
+        for j in range(low, high):
+            x = j - 1 - begin
+            if 0 <= x < held:
+                cell, first, last = cells[x], firsts[x], lasts[x]
+            else:
+                cell, first, last = 0, -1, -1
             if words[j] == w:
-                cell = (s + MATCH, n + 1, j if n == 0 else a, j)
+                if not cell:
+                    first = j
+                cell, last = cell + hit, j
             else:
-                cell = (s + CHANGE, n, a, z)
-            for other in (before.get(j, none), now.get(j - 1, none)):
-                cell = max(cell, (other[0] + GAP, *other[1:]))
-            now[j] = cell if cell[0] > 0 else none
-            best = max(best, now[j], key=lambda c: (c[0], -c[2]))
-        before = now
-    return best
+                cell += miss
+            x += 1
+            if 0 <= x < held and cells[x] + GAP * UNIT > cell:
+                cell, first, last = cells[x] + GAP * UNIT, firsts[x], lasts[x]
+            if left + GAP * UNIT > cell:
+                cell, first, last = left + GAP * UNIT, left_first, left_last
+            if cell < UNIT:
+                cell = 0
+            elif cell > best[0]:
+                best = (cell, first, last)
+            row.append(cell)
+            row_first.append(first)
+            row_last.append(last)
+            left, left_first, left_last = cell, first, last
+        cells, firsts, lasts, begin = row, row_first, row_last, low
+    return best[0] // UNIT, best[0] % UNIT, best[1], best[2]
 
 
 FOUND = "doc_id long, license string, coverage double, matched_words int, span_start int, span_end int"
+_indexes: dict[bytes, TemplateIndex] = {}
+
+
+def _index(templates: dict[str, list[str]]) -> TemplateIndex:
+    """Built once in a process."""
+    name = hashlib.sha256(repr(sorted(templates.items())).encode()).digest()
+    if name not in _indexes:
+        _indexes.clear()
+        _indexes[name] = TemplateIndex(templates)
+    return _indexes[name]
 
 
-def scan_licenses(docs: DataFrame, templates: dict[str, list[str]] = TEMPLATES) -> DataFrame:
+def scan_licenses(docs: DataFrame, templates: dict[str, list[str]] | None = None) -> DataFrame:
     """doc_id, license, coverage, matched_words, span_start, span_end: a row per match."""
     text_batches(docs.sparkSession)
+    templates = templates_of_files() if templates is None else templates
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        index = TemplateIndex(templates)
+        index = _index(templates)
         kinds = [pa.int64(), pa.string(), pa.float64(), pa.int32(), pa.int32(), pa.int32()]
         names = [c.split()[0] for c in FOUND.split(", ")]
         for batch in batches:

@@ -157,10 +157,26 @@ def test_html(spark):
 
 
 def test_topk(spark):
-    rows = [(0, [0.5, 0.25], 1), (1, [0.5, 0.25], 1), (2, [0.5, 0.25], 1), (3, None, 1), (4, [None, 1.0], 1), (5, [float("nan"), 1.0], 1), (6, [float("inf"), 0.0], 1), (7, [1.0], 1), (None, [1.0, 1.0], 1), (2, [0.5, 0.25], 1), (8, [], 1), (9, [1e30, 0.0], 1)]
-    table = spark.createDataFrame(rows, "vec_id long, embedding array<float>, rank int")
-    vectors = topk.integer_vectors(table)
-    got = {(r.query_id, r.rank): (r.vec_id, r.score) for r in topk.top_k(spark, vectors, vectors.filter("vec_id = 0"), 5).collect()}
-    assert got == {(0, 1): (7, 128 * 256), (0, 2): (1, 128 * 128 + 64 * 64), (0, 3): (2, 128 * 128 + 64 * 64)}
-    assert topk.top_k(spark, vectors.filter("false"), vectors, 5).count() == 0
-    assert topk.top_k(spark, vectors, vectors.filter("false"), 5).count() == 0
+    rows = [(0, [0.5, 0.25]), (1, [0.5, 0.25]), (2, [0.5, 0.25]), (3, None), (4, [None, 1.0]), (5, [float("nan"), 1.0]), (6, [float("inf"), 0.0]), (7, [1.0]), (None, [1.0, 1.0]), (2, [0.5, 0.25]), (8, [])]
+    clashing = "vec_id long, embedding array<float>, `rank` int, query_id string, score string, `row` int, x string"
+    table = spark.createDataFrame([(*r, 1, "a", "b", 2, "c") for r in rows], clashing)
+    vectors = topk.written_table(spark, topk.usable_vectors(table), "t")
+    found = lambda v, q, k: [tuple(r) for r in topk.top_k(spark, v, q, k).orderBy("query_id", "rank").collect()]
+    same = 128 * 128 + 64 * 64
+    # rows that repeat an id are candidates of their own; an empty vector scores 0
+    assert found(vectors, vectors.filter("vec_id = 0"), 5) == [(0, 1, 7, 128 * 256), (0, 2, 1, same), (0, 3, 2, same), (0, 4, 2, same), (0, 5, 8, 0)]
+    assert len(found(vectors, vectors.filter("vec_id = 2"), 9)) == 2 * 5
+    assert found(vectors, vectors.filter("vec_id = 8"), 1) == [(8, 1, 0, 0)]
+    assert found(vectors.filter("false"), vectors, 5) == [] == found(vectors, vectors.filter("false"), 5)
+
+
+def test_topk_of_large_components(spark):
+    """Finite components of any size take part; sums beyond a bigint show as the nearest one."""
+    rows = [(0, [2000000.0, 1.0]), (1, [2000000.0, 2.0]), (2, [1e30, 0.0]), (3, [-1e30, 5.0]), (4, [1.0, 1.0]), (5, [1e308, 1.0]), (6, [float(1 << 40), 1.0])]
+    vectors = topk.written_table(spark, topk.usable_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<double>")), "t")
+    got = {(r.query_id, r.rank): (r.vec_id, r.score) for r in topk.top_k(spark, vectors, vectors, 3).collect()}
+    exact = {i: [int(e) * 256 for e in v] for i, v in rows}
+    for q in exact:
+        scores = {i: max(-(1 << 63), min((1 << 63) - 1, sum(a * b for a, b in zip(exact[q], v)))) for i, v in exact.items() if i != q}
+        want = sorted(scores.items(), key=lambda p: (-p[1], p[0]))[:3]
+        assert [got[q, k + 1] for k in range(3)] == want, q

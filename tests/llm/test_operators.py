@@ -199,35 +199,40 @@ def test_digests_of_documents(spark, sf_dir, duck, library):
     assert {r.doc_id: (r.n_tokens, r.ids_sha256, r.decoded_sha256) for r in rows} == want
 
 
+def best_of(vectors, q, k=5):
+    """By a full sort of Python integers."""
+    scores = [(-int(vectors[i].astype(object) @ vectors[q].astype(object)), i) for i in range(len(vectors)) if i != q]
+    return [(i, -s) for s, i in sorted(scores)[:k]]
+
+
 def test_index_stops_early_and_is_exact():
     draw = np.random.Generator(np.random.PCG64(3))
-    vectors = np.floor(256 * draw.normal(0, 0.12, (3000, 48))).astype(np.int64)
+    vectors = np.floor(256 * draw.normal(0, 0.12, (3000, 48)))
     vectors[100:400] = vectors[100]  # ties
-    index = topk.BlockIndex(np.arange(3000), vectors)
+    rows = np.arange(3000)
+    index = topk.BlockIndex(rows, rows, vectors)
     early = 0
     for q in range(0, 3000, 60):
-        early += len(index._possible(vectors[q], 5, q, *vectors.shape)) < 3000
-        scores = vectors @ vectors[q]
-        scores[q] = -(1 << 60)
-        want = np.lexsort((np.arange(3000), -scores))[:5]
-        ids, found = index.search(q, vectors[q], 5)
-        assert ids.tolist() == want.tolist() and found.tolist() == scores[want].tolist()
+        early += len(index._possible(vectors[q], 5, np.array([q]), -np.inf)) < 3000
+        want = best_of(vectors, q)
+        assert list(zip(*(x.tolist() for x in index.search(q, vectors[q], 5)))) == want
+        floor = float(want[-1][1])  # a bar that is known before keeps the members
+        assert list(zip(*(x.tolist() for x in index.search(q, vectors[q], 5, floor)))) == want
+        assert not len(index.search(q, vectors[q], 5, 1e18)[0])
     assert early > 10
 
 
 def test_index_with_large_components():
     draw = np.random.Generator(np.random.PCG64(4))
-    vectors = draw.integers(-(1 << 20), 1 << 20, (700, 9))
-    index = topk.BlockIndex(np.arange(700), vectors)
+    vectors = draw.integers(-(1 << 20), 1 << 20, (700, 9)).astype(float)
+    index = topk.BlockIndex(np.arange(700), np.arange(700), vectors)
     assert index.shift > 0
     for q in range(0, 700, 50):
-        scores = vectors @ vectors[q]
-        scores[q] = -(1 << 60)
-        assert index.search(q, vectors[q], 5)[0].tolist() == np.lexsort((np.arange(700), -scores))[:5].tolist()
+        assert list(zip(*(x.tolist() for x in index.search(q, vectors[q], 5)))) == best_of(vectors, q)
 
 
 def test_blocks_and_tiles_do_not_change_results(spark, sf_dir):
-    vectors = topk.integer_vectors(spark.read.parquet(f"{sf_dir}/embeddings.parquet"))
+    vectors = topk.written_table(spark, topk.usable_vectors(spark.read.parquet(f"{sf_dir}/embeddings.parquet")), "t")
     queries = vectors.filter("vec_id % 50 = 0")
     whole = sorted(map(tuple, topk.top_k(spark, vectors, queries).collect()))
     assert whole == sorted(map(tuple, topk.top_k(spark, vectors, queries, rows=64, tile=3).collect()))
@@ -325,7 +330,7 @@ def test_toxicity_ignores_held_out_labels(spark, sf_dir):
 
     turned = labels.withColumn("toxic", F.when(toxicity.fold() == 0, 1 - F.col("toxic")).otherwise(F.col("toxic")))
     a, b = (toxicity.fit(spark, docs, x) for x in (labels, turned))
-    assert a.entries == b.entries and np.allclose(a.weights, b.weights)
+    assert a.model == b.model and np.allclose(a.weights, b.weights)
 
 
 def test_toxicity_counts_do_not_stop_at_the_sample(spark, monkeypatch):
@@ -340,9 +345,9 @@ def test_toxicity_counts_do_not_stop_at_the_sample(spark, monkeypatch):
     counted = {form for i, text, t in rows if t and zlib.crc32(str(i).encode()) % 5 in (1, 2, 3) for form in text.split()[20:]}
     scorer = toxicity.fit(spark, docs, labels, rows=60)
     keys = toxicity.word_keys([f"n{form}$" for form in sorted(counted)])
-    assert len(counted) > 90 and scorer.entries.find(keys)[2].all()
+    assert len(counted) > 90 and scorer.model[0].find(keys)[2].all()
     more = docs.unionByName(spark.createDataFrame([(1000 + k, f"zz{name(9)}") for k in range(200)], docs.schema))
-    assert toxicity.fit(spark, more, labels, rows=60).entries != scorer.entries
+    assert toxicity.fit(spark, more, labels, rows=60).model != scorer.model
     found = {r.doc_id: r.score for r in toxicity.score(spark, docs, scorer).collect()}
     monkeypatch.setattr(toxicity, "BROADCAST_ENTRIES", 10)
     large = toxicity.fit(spark, docs, labels, rows=60)
@@ -490,21 +495,33 @@ def test_dedup_levels_agree(spark, sf_dir):
     assert exact_dedup.drop_duplicates(spark, docs).count() == sum(r[3] for r in a)
 
 
-def brute_licenses(text):
-    """Every template against every place, without the index."""
-    index = license_scan.TemplateIndex()
-    words = license_scan.words_of(text or "")
+def brute_licenses(index, text):
+    """Every template against the whole text, without fingerprints, chains or bands."""
+    words = [index.number.get(w, 0) for w in license_scan.words_of(text or "")]
     found = []
     for t, template in enumerate(index.words):
-        for offset in range(-len(template), len(words)):
-            score, matched, a, b = license_scan.align(template, words, offset)
-            if matched / len(template) >= license_scan.COVERAGE:
+        short = len(template) <= license_scan.SHORT
+        best, before = [], [(0, 0, -1, -1)] * (len(words) + 1)
+        for w in template:
+            now = [(0, 0, -1, -1)]
+            for j, own in enumerate(words):
+                s, n, a, z = before[j]
+                cell = (s + license_scan.MATCH, n + 1, j if n == 0 else a, j) if own == w else (s + license_scan.CHANGE, n, a, z)
+                for other in (before[j + 1], now[j]):
+                    gap = (other[0] + license_scan.GAP, *other[1:])
+                    cell = gap if gap[:2] > cell[:2] else cell
+                now.append(cell if cell[0] > 0 else (0, 0, -1, -1))
+            best += [c for c in now if c[1]]
+            before = now
+        for score, matched, a, b in best:
+            coverage = matched / (len(template) + b - a + 1 - matched)
+            if coverage >= license_scan.COVERAGE if short else matched >= license_scan.PASSAGE and matched >= license_scan.COVERAGE * (b - a + 1):
                 found.append((-score, index.names[t], a, b, matched))
     kept = []
-    for _, name, a, b, matched in sorted(found):
-        if all(b < c or a > d for _, c, d, _ in kept):
-            kept.append((name, a, b, matched))
-    return sorted((name, matched) for name, _, _, matched in kept)
+    for match in sorted(found):
+        if all(match[3] < a or match[2] > b for _, _, a, b, _ in kept):
+            kept.append(match)
+    return sorted((name, matched) for _, name, _, _, matched in kept)
 
 
 def test_license_lines_of_documents(spark, sf_dir, duck):
@@ -518,12 +535,58 @@ def test_license_lines_of_documents(spark, sf_dir, duck):
 
 
 def test_changed_license_notices():
-    scan = license_scan.TemplateIndex().scan
-    mit = license_scan.TEMPLATES["MIT"][2]
+    templates = license_scan.templates_of_files()
+    index = license_scan.TemplateIndex(templates)
+    scan = index.scan
+    mit = templates["MIT"][-1].split("\n\n")[1]
     text = f"intro words here. {mit.replace('free of charge', 'free of any charge').replace('merge, ', '')} More words."
     ((name, coverage, matched, start, end),) = scan(text)
-    assert name == "MIT" and 0.9 < coverage < 1 and text[start:end].startswith("Permission") and text[start:end].endswith("conditions")
+    assert name == "MIT" and 0.3 < coverage < 0.6 and matched > 60
+    assert text[start:end].startswith("Permission") and text[start:end].endswith("conditions")
     assert [r[0] for r in scan("Licensed under CC BY 4.0. x y z Licensed under CC BY-NC 4.0.")] == ["CC-BY-4.0", "CC-BY-NC-4.0"]
     assert scan("a license to drive") == [] and scan("") == [] and scan(None) == []
-    for sample in (text, "RELEASED UNDER the MIT license and licensed under the apache license version 2.0", mit[: len(mit) // 2]):
-        assert sorted((r[0], r[2]) for r in scan(sample)) == brute_licenses(sample)
+    plain = lambda s: [(r[0], r[1] > 0.99) for r in scan(s)]
+    assert plain("This work is licensed under the GNU Affero General Public License, version 3.") == [("AGPL-3.0", True)]
+    assert plain("This work is licensed under the GNU General Public License, version 3.") == [("GPL-3.0", True)]
+    assert plain("This work is licensed under the GNU Lesser General Public License, version 3.") == [("LGPL-3.0", True)]
+    ((name, coverage, *_),) = scan("This work is licensed under the new GNU General Public License, version 2.")
+    assert name == "GPL-2.0" and coverage < 0.95  # an inserted word costs
+    third = templates["BSD-3-Clause"][-1].split("\n\n")[3]
+    assert [r[0] for r in scan(third)] == ["BSD-3-Clause"]
+
+
+def test_spans_are_of_the_text_as_it_is():
+    scan = license_scan.TemplateIndex().scan
+    for lead in ("İİİİ note. ", "ßẞ ", "plain "):
+        text = f"{lead}Licensed under the MIT License. İ"
+        ((name, coverage, _, start, end),) = scan(text)
+        assert (name, coverage, text[start:end]) == ("MIT", 1.0, "Licensed under the MIT License")
+
+
+@pytest.mark.parametrize("name", ["Apache-2.0", "BSD-2-Clause", "BSD-3-Clause", "BSL-1.0", "GPL-2.0", "GPL-3.0", "ISC", "LGPL-2.1", "LGPL-3.0", "MIT", "MPL-2.0", "Unlicense", "Zlib"])
+def test_whole_texts_of_licenses(name):
+    """Each text finds itself, also with lines left out and words changed."""
+    templates = license_scan.templates_of_files()
+    scan = license_scan._index(templates).scan
+    text = templates[name][-1]
+    assert max(scan(f"Some file. {text} The end."), key=lambda r: r[2])[:2] == (name, 1.0)
+    words = text.split()
+    changed = " ".join(w for k, w in enumerate(words) if k % 31) + " more"
+    found = [r for r in scan(changed) if r[0] == name]
+    assert sum(r[2] for r in found) > 0.85 * len(license_scan.words_of(text))
+
+
+def test_licenses_by_whole_alignment():
+    """Fingerprints, chains and bands find what an alignment of everything with everything finds."""
+    templates = {k: v for k, v in license_scan.templates_of_files().items() if k in ("MIT", "ISC", "Zlib", "BSD-2-Clause", "BSD-3-Clause", "AGPL-3.0", "CC-BY-4.0", "CC-BY-NC-4.0")}
+    index = license_scan.TemplateIndex(templates)
+    mit, zlib_text = templates["MIT"][-1], templates["Zlib"][-1]
+    samples = [
+        "RELEASED UNDER the MIT license and licensed under the cc by 4.0",
+        "x " * 30 + mit[: len(mit) // 2] + " y" * 20 + zlib_text[:300],
+        mit.replace("without restriction", "with no restriction at all") + " tail " + "Licensed under CC BY-NC 4.0.",
+        templates["BSD-3-Clause"][-1],
+        "of the software and the use of the software in the public",
+    ]
+    for sample in samples:
+        assert sorted((r[0], r[2]) for r in index.scan(sample)) == brute_licenses(index, sample), sample[:40]
