@@ -9,11 +9,15 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 _own_root: list[str] = []
+#: Paths that the scratch scopes at hand will delete, the innermost last.
+_scopes: list[list[str]] = []
 
 
 def shared_root(spark: SparkSession) -> str:
@@ -44,8 +48,33 @@ def qualified(spark: SparkSession, path: str) -> str:
 
 
 def shared_path(spark: SparkSession, label: str) -> str:
-    """A fresh path below the shared folder."""
-    return f"{shared_root(spark)}/{label}-{uuid.uuid4().hex}"
+    """A fresh path below the shared folder; it goes with the scratch scope it is made in."""
+    path = f"{shared_root(spark)}/{label}-{uuid.uuid4().hex}"
+    if _scopes:
+        _scopes[-1].append(path)
+    return path
+
+
+@contextmanager
+def scratch(spark: SparkSession) -> Iterator[None]:
+    """Whatever is written below the shared folder in this scope is deleted at its end."""
+    _scopes.append([])
+    try:
+        yield
+    finally:
+        for path in _scopes.pop():
+            drop_path(spark, path)
+
+
+def only_result(spark: SparkSession, label: str, build: Callable[[], DataFrame]) -> DataFrame:
+    """What ``build`` gives, written; all that it has written on its way is deleted."""
+    path = shared_path(spark, label)
+    with scratch(spark):
+        made = build()
+        made.write.option("compression", "zstd").parquet(path)
+    table = spark.read.schema(made.schema).parquet(path)
+    table._shared_path = path
+    return table
 
 
 def written_table(spark: SparkSession, df: DataFrame, label: str) -> DataFrame:
