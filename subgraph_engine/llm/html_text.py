@@ -1,10 +1,18 @@
 """Main text of web pages, with site templates removed.
 
-Every page is parsed into elements. An element's subtree is hashed over its tag,
-class, text and children; Spark counts for each host on how many different pages
-a subtree occurs, and subtrees that recur on many pages of their host are
-deleted, besides what names itself as furniture (menus, headers, footers,
-sidebars, notices, adverts, forms, scripts, styles, comments).
+Every page is parsed into elements, and the subtree of every block is hashed twice:
+over its tag, class, text and children, and as a frame: the way to it and its tags
+and classes alone. Spark counts for each host on how many different pages each
+occurs, and what recurs on many pages of its host is deleted: blocks that say the
+same, and frames that are thin wherever they occur, as menus, notices, adverts and
+footers are whose words differ from page to page. A frame is thin when half of its
+words or more are in links, or when it has up to ``THIN_WORDS`` words and is outside
+``article`` and ``main``; headings, paragraphs and what holds them are no frames. A
+page that frames would leave without a word keeps them.
+
+Names come second, for hosts with too few pages to count: what calls itself furniture
+(menus, headers, footers, sidebars, notices, adverts, forms, comments) goes on any
+page, and scripts and styles always.
 
 A page counts once for each different content of its main part, so copies of an
 article do not make its parts a template. How many pages make a template grows with
@@ -29,17 +37,21 @@ import re
 from collections.abc import Iterator
 
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from subgraph_engine.storage import text_batches, written_table
+from subgraph_engine.storage import only_result, text_batches, written_table
 
 #: A subtree is a template when it is on at least so many different pages of its host and
 #: on at least the square root of their number: a quarter of 16 pages, a tenth of 100.
 LEAST_PAGES = 4
 #: Prose of the main part needs so many times the pages.
 PROSE_TIMES = 4
+#: Words of a frame that is thin without links, and the share of its pages on which it has to be.
+THIN_WORDS = 40
+THIN_SHARE = 0.9
 #: Template subtrees that are broadcast, 8 bytes each, at most.
 BROADCAST_TEMPLATES = 1_000_000
 
@@ -82,6 +94,8 @@ class Page:
 
     def __init__(self, markup: str):
         self.tag, self.parent, self.named, self.digest = ["#"], [-1], [""], [0]
+        #: the way to an element, its shape without words, whether it holds prose, and its words, all and in links
+        self.way, self.shape, self.has_prose, self.words, self.linked = [0], [0], [False], [0], [0]
         self.furniture = [False]
         self.pieces: list[tuple[int, str | None]] = []  # (element, text), text None: a block begins or ends
         self._parts: list[list[str]] = [[]]
@@ -116,6 +130,7 @@ class Page:
             self.pieces.append((self._open[-1], text))
             if word := text.strip():
                 self._parts[self._open[-1]].append(word)
+                self.words[self._open[-1]] += len(word.split())
 
     def _start(self, tag: str, attributes: str) -> None:
         if tag in BLOCK:
@@ -132,6 +147,12 @@ class Page:
         self.parent.append(self._open[-1])
         self.named.append(names)
         self.digest.append(0)
+        own = f"{tag}\x1f{names}"
+        self.way.append(_hashed(f"{self.way[self._open[-1]]:x}\x1f{own}"))
+        self.shape.append(_hashed(own))
+        self.has_prose.append(tag in PROSE)
+        self.words.append(0)
+        self.linked.append(0)
         self._parts.append([])
         self.furniture.append(furniture or tag in DROPPED)
         self._open.append(i)
@@ -184,6 +205,14 @@ class Page:
     def _close(self) -> None:
         i = self._open.pop()
         parts = self._parts[i]
+        if self.tag[i] == "a":
+            self.linked[i] = self.words[i]
+        if self._open:
+            up = self._open[-1]
+            self.words[up] += self.words[i]
+            self.linked[up] += self.linked[i]
+            self.has_prose[up] |= self.has_prose[i] and self.words[i] > 0
+            self.shape[up] = _hashed(f"{self.shape[up]:x}\x1f{self.shape[i]:x}")
         if parts:
             said = "\x1f".join([self.tag[i], self.named[i], *parts])
             self.digest[i] = int.from_bytes(hashlib.blake2b(said.encode("utf-8", "replace"), digest_size=8).digest(), "little", signed=True)
@@ -208,15 +237,28 @@ class Page:
         self.in_article = [x and kind in ("article", "main") for x in inside]
         return inside
 
-    def dropped(self, templates, host: str) -> list[bool]:
+    def dropped(self, templates, host: str, frames: bool = True) -> list[bool]:
         """Furniture and templates, with all that is below them."""
         gone = [False] * len(self.tag)
         for i in range(1, len(self.tag)):
             gone[i] = gone[self.parent[i]] or self.furniture[i] or self.tag[i] == "header" and not self._within_article(i)
             if templates and not gone[i] and self.candidate(i):
-                gone[i] = template_key(host, self.digest[i], self.prose(i)) in templates
+                gone[i] = template_key(host, self.digest[i], SAYING + self.prose(i)) in templates
+                if frames and not gone[i] and self.frame(i):
+                    gone[i] = template_key(host, self.frame_digest(i), FRAME) in templates
         return gone
 
+    def frame(self, i: int) -> bool:
+        """Whether a candidate may recur as a frame."""
+        return not self.has_prose[i] and not self._under_prose(i, anywhere=True)
+
+    def frame_digest(self, i: int) -> int:
+        return _hashed(f"{self.way[i]:x}\x1f{self.shape[i]:x}")
+
+    def thin(self, i: int) -> bool:
+        """Mostly links, or few words outside the main part."""
+        return 2 * self.linked[i] >= self.words[i] or self.words[i] <= THIN_WORDS and not self.in_article[i]
+
     def _within_article(self, i: int) -> bool:
         while i > 0:
             i = self.parent[i]
@@ -233,26 +275,35 @@ class Page:
         """Whether an element is prose of the main part."""
         return self.in_article[i] and (self.tag[i] in PROSE or self._under_prose(i))
 
-    def _under_prose(self, i: int) -> bool:
-        while self.parent[i] > 0 and self.in_article[i]:
+    def _under_prose(self, i: int, anywhere: bool = False) -> bool:
+        while self.parent[i] > 0 and (anywhere or self.in_article[i]):
             i = self.parent[i]
             if self.tag[i] in PROSE:
                 return True
         return False
 
-    def subtrees(self) -> tuple[int, set[tuple[int, bool]]]:
-        """A digest of the page's main part, and those of its candidate subtrees, each with whether it is prose."""
+    def subtrees(self) -> tuple[int, dict[tuple[int, int], bool]]:
+        """A digest of the page's main part; and (digest, kind) of its candidate subtrees, with whether they are thin throughout."""
         inside = self.scope()
         main = hashlib.blake2b(digest_size=8)
         for i, text in self.pieces:
             if text and inside[i]:
                 main.update(text.strip().encode("utf-8", "replace"))
-        found = {(self.digest[i], self.prose(i)) for i in range(1, len(self.tag)) if self.candidate(i)}
+        found: dict[tuple[int, int], bool] = {}
+        for i in range(1, len(self.tag)):
+            if self.candidate(i):
+                found[self.digest[i], SAYING + self.prose(i)] = True
+                if self.frame(i):
+                    key = (self.frame_digest(i), FRAME)
+                    found[key] = found.get(key, True) and self.thin(i)
         return int.from_bytes(main.digest(), "little", signed=True), found
 
     def main_text(self, templates, host: str) -> str:
+        return self._text_left(templates, host, True) or self._text_left(templates, host, False)
+
+    def _text_left(self, templates, host: str, frames: bool) -> str:
         inside = self.scope()
-        gone = self.dropped(templates, host)
+        gone = self.dropped(templates, host, frames)
         blocks, now = [], []
         for i, text in self.pieces:
             if text is None:
@@ -265,8 +316,16 @@ class Page:
         return " ".join(b for b in blocks if b)
 
 
-def template_key(host: str, digest: int, prose: bool = False) -> int:
-    mixed = hashlib.blake2b(f"{host}\x1f{digest}{'p' * prose}".encode("utf-8", "replace"), digest_size=8).digest()
+#: Kinds of subtrees: by what they say, the same for prose of the main part, and frames.
+SAYING, SAYING_PROSE, FRAME = 0, 1, 2
+
+
+def _hashed(text: str) -> int:
+    return xxhash.xxh64_intdigest(text.encode("utf-8", "replace"))
+
+
+def template_key(host: str, digest: int, kind: int = SAYING) -> int:
+    mixed = hashlib.blake2b(f"{host}\x1f{digest}\x1f{kind}".encode("utf-8", "replace"), digest_size=8).digest()
     return int.from_bytes(mixed, "little", signed=True)
 
 
@@ -276,32 +335,37 @@ def host_of(url: str | None) -> str:
 
 
 def subtree_rows(pages: DataFrame) -> DataFrame:
-    """host, main (digest of the main part), key (of host and subtree), prose; distinct within a page."""
+    """host, main (digest of the main part), key (of host and subtree), kind, thin; distinct within a page."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            hosts, mains, keys, prose = [], [], [], []
+            hosts, mains, keys, kinds, thin = [], [], [], [], []
             for url, markup in zip(batch.column("url").to_pylist(), batch.column("html").to_pylist()):
                 host = host_of(url)
                 main, found = Page(markup or "").subtrees()
                 hosts += [host] * (len(found) + 1)
                 mains += [main] * (len(found) + 1)
-                found = sorted(found)
                 keys += [None, *(template_key(host, *f) for f in found)]
-                prose += [False, *(f[1] for f in found)]
-            columns = [pa.array(hosts, pa.string()), pa.array(mains, pa.int64()), pa.array(keys, pa.int64()), pa.array(prose, pa.bool_())]
-            yield pa.RecordBatch.from_arrays(columns, ["host", "main", "key", "prose"])
+                kinds += [SAYING, *(f[1] for f in found)]
+                thin += [True, *found.values()]
+            columns = [pa.array(hosts, pa.string()), pa.array(mains, pa.int64()), pa.array(keys, pa.int64()), pa.array(kinds, pa.int32()), pa.array(thin, pa.bool_())]
+            yield pa.RecordBatch.from_arrays(columns, ["host", "main", "key", "kind", "thin"])
 
-    return pages.select("url", "html").mapInArrow(run, "host string, main long, key long, prose boolean")
+    return pages.select("url", "html").mapInArrow(run, "host string, main long, key long, kind int, thin boolean")
 
 
 def find_templates(spark: SparkSession, pages: DataFrame) -> DataFrame:
     """key of every subtree that recurs on many different pages of its host."""
-    once = subtree_rows(pages).groupBy("host", "key", "prose", "main").agg(F.lit(1).alias("_1"))
-    counts = written_table(spark, once.groupBy("host", "key", "prose").agg(F.count(F.lit(1)).alias("pages")), "html-subtrees")
+    return only_result(spark, "html-templates", lambda: _templates(spark, pages))
+
+
+def _templates(spark: SparkSession, pages: DataFrame) -> DataFrame:
+    once = subtree_rows(pages).groupBy("host", "key", "kind", "main").agg(F.bool_and("thin").alias("thin"))
+    counts = once.groupBy("host", "key", "kind").agg(F.count(F.lit(1)).alias("pages"), F.count_if("thin").alias("thin"))
+    counts = written_table(spark, counts, "html-subtrees")
     sites = counts.filter("key is null").select("host", F.col("pages").alias("all_pages"))
-    often = counts.filter(f"key is not null and pages >= {LEAST_PAGES}").join(sites, "host")
-    least = F.greatest(F.lit(float(LEAST_PAGES)), F.sqrt("all_pages")) * F.when(F.col("prose"), PROSE_TIMES).otherwise(1)
+    often = counts.filter(f"key is not null and pages >= {LEAST_PAGES} and thin >= {THIN_SHARE} * pages").join(sites, "host")
+    least = F.greatest(F.lit(float(LEAST_PAGES)), F.sqrt("all_pages")) * F.when(F.col("kind") == SAYING_PROSE, PROSE_TIMES).otherwise(1)
     return often.filter(F.col("pages") >= least).select("key").distinct()
 
 
@@ -319,7 +383,7 @@ def extract(spark: SparkSession, pages: DataFrame) -> DataFrame:
     """page_id, url, text, n_chars: the main text of every page."""
     text_batches(spark)
     rows = pages.select(F.col("page_id").cast("long"), "url", "html")
-    templates = written_table(spark, find_templates(spark, rows), "html-templates")
+    templates = find_templates(spark, rows)
     if templates.count() <= BROADCAST_TEMPLATES:
         keys = spark.sparkContext.broadcast(frozenset(templates.toArrow().column(0).to_pylist()))
         return rows.mapInArrow(lambda batches: _texts(batches, lambda: keys.value), RESULT)
@@ -335,7 +399,7 @@ def _extract_joined(rows: DataFrame, templates: DataFrame) -> DataFrame:
             names, keys = [], []
             for own, url, markup in zip(*(batch.column(c).to_pylist() for c in ("name", "url", "html"))):
                 host = host_of(url)
-                found = sorted(Page(markup or "").subtrees()[1])
+                found = Page(markup or "").subtrees()[1]
                 names += [own] * len(found)
                 keys += [template_key(host, *f) for f in found]
             yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array(keys, pa.int64())], ["name", "key"])

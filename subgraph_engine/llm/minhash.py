@@ -227,7 +227,7 @@ def _short_keys(nodes: DataFrame) -> DataFrame:
 
 
 def _mixed_buckets(paired: DataFrame, parts: DataFrame) -> DataFrame:
-    """bucket, node, component, n_shingles, leader, leader_component, n, mark, in_bucket: of all tables' buckets with several components."""
+    """bucket, node, component, n_shingles, leader, leader_component, n, mark, mark2, in_bucket: of all tables' buckets with several components."""
     own = paired.join(parts.withColumnRenamed("vid", "node"), "node", "left").withColumn("component", F.coalesce("component", "node"))
     node = ["node", "component", "n_shingles"]
     tables = own.select(*node, F.explode("a").alias("x"), "b").select(*node, "x", F.explode("b").alias("y"))
@@ -238,7 +238,8 @@ def _mixed_buckets(paired: DataFrame, parts: DataFrame) -> DataFrame:
         F.count(F.lit(1)).alias("n"),
         F.min("component").alias("lo"),
         F.max("component").alias("hi"),
-        F.sum(F.xxhash64("node") % 1_000_003).alias("mark"),
+        F.bit_xor(F.xxhash64("node")).alias("mark"),
+        F.bit_xor(F.xxhash64("node", F.lit(SEED))).alias("mark2"),
         F.sum("n_shingles").alias("in_bucket"),
     )
     return tables.join(buckets.filter("lo <> hi").drop("lo", "hi"), "bucket")
@@ -263,12 +264,12 @@ def _verified(sets: DataFrame, pairs: DataFrame, percent: int) -> DataFrame:
 def _still_mixed(mixed: DataFrame, parts: DataFrame) -> DataFrame:
     """bucket, node, component, n_shingles, n, in_bucket of buckets of three and more that the leaders' links left in several components.
 
-    Buckets of the same members are told by leader, size and a checksum; one of
-    them stays.
+    Buckets of the same members are told by leader, size and 128 bits over their
+    members' hashes; one of them stays.
     """
     held = mixed.filter("n > 2").drop("component").join(parts.withColumnRenamed("vid", "node"), "node", "left")
     held = held.withColumn("component", F.coalesce("component", "node"))
-    name = ["n", "leader", "mark", "in_bucket"]
+    name = ["n", "leader", "mark", "mark2", "in_bucket"]
     still = held.groupBy("bucket", *name).agg(F.min("component").alias("lo"), F.max("component").alias("hi"))
     still = still.filter("lo <> hi").groupBy(*name).agg(F.min("bucket").alias("bucket"))
     return held.select("bucket", "node", "component", "n_shingles").join(still.select("bucket", "n", "in_bucket"), "bucket")
@@ -351,14 +352,23 @@ def _tile_links(table: pa.Table, percent: int, src: list[int], dst: list[int]) -
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
     """One document of each group of near-duplicates, with all columns of ``docs``.
 
-    The smallest id stays. Rows that share an id share its fate; of rows of a
-    component that all lack an id, all stay.
+    The smallest id stays; null comes after all ids, and of rows that share an id
+    one stays. Where ids are null or repeat, rows are written with a number of their
+    own, by which they are told apart.
     """
-    found = written_table(spark, near_duplicates(spark, docs, words, percent), "minhash-found")
-    (name,) = fresh(docs, "near_gone")
-    gone = found.filter(~F.col("kept")).select(F.col("doc_id").alias(name)).distinct()
-    gone = broadcast_if_few(gone, BROADCAST_KEYS)
-    return docs.join(gone, docs["doc_id"] == gone[name], "left_anti")
+    name, row = fresh(docs, "near_gone", "near_row")
+    ids = docs.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n"))
+    if ids.filter("n > 1 or doc_id is null").isEmpty():
+        found = near_duplicates(spark, docs, words, percent)
+        gone = written_table(spark, found.filter(~F.col("kept")).select(F.col("doc_id").alias(name)), "minhash-gone")
+        gone = broadcast_if_few(gone, BROADCAST_KEYS)
+        return docs.join(gone, docs["doc_id"] == gone[name], "left_anti")
+    keyed = written_table(spark, docs.withColumn(row, F.monotonically_increasing_id()), "minhash-keyed")
+    found = _components(spark, keyed.select(F.col(row).alias("doc_id"), "text"), words, percent)
+    found = found.select(F.col("doc_id").alias(name), "component_id").join(keyed.select(F.col(row).alias(name), "doc_id"), name)
+    first = found.groupBy("component_id").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", name)).alias("first"))
+    first = written_table(spark, first.select(F.col("first")[name].alias(name)), "minhash-first")
+    return keyed.join(first, keyed[row] == first[name], "left_semi").select(*docs.columns)
 
 
 def op3(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,11 +1,13 @@
 """Mixing sources to target weights by systematic sampling.
 
-A document's expected copies are its source's target over its source's size.
-Within each source the expected copies are summed over the documents in order of
-size; with one offset added, a document is emitted once for every integer that
-its stretch of the sum crosses. As neighbours have about the same size, the words
-taken follow the target closely. The offset is drawn from a seeded set of
-candidates, the one whose words come nearest to the target.
+A document's expected copies are its source's target over its source's size. Within
+each source the expected copies are summed over the documents in order of size; with
+one random offset added, a document is emitted once for every integer that its
+stretch of the sum crosses. As the offset is drawn evenly from [0, 1), every document
+has its expected copies on average, and as neighbours have about the same size, the
+words taken stay within about one large document of the target. All documents of a
+source have the same expected copies, so the sum before a document is that number
+times its rank, which is exact where a running sum of fractions would drift.
 
 Targets: the sources, by code point with null last, weigh 3, 1, 2, repeating, and
 share ``share`` times all words; a target stops at ``most`` times its source's size and
@@ -27,20 +29,18 @@ from pyspark.sql import functions as F
 
 from subgraph_engine.functions.ranking import rank_within
 from subgraph_engine.functions.sqltools import fresh
-from subgraph_engine.storage import broadcast_if_few, written_table
+from subgraph_engine.storage import broadcast_if_few, only_result, written_table
 
 WORD = r"[^\x20\x09-\x0D]+"
 WEIGHTS = (3.0, 1.0, 2.0)
-OFFSETS = 32
 SEED = 7
 #: Copies per document are broadcast up to this many rows, 16 bytes each.
 BROADCAST_ROWS = 1_000_000
 
 
-def offsets(seed: int = SEED, n: int = OFFSETS) -> list[float]:
-    """Seeded offsets in (0, 1), one in each n-th of it."""
-    draw = random.Random(seed)
-    return [round((k + draw.random()) / n, 6) for k in range(n)]
+def offset(seed: int = SEED) -> float:
+    """The seeded offset in [0, 1)."""
+    return random.Random(seed).random()
 
 
 def words(text: str = "text") -> Column:
@@ -79,6 +79,10 @@ def mix(
     seed: int = SEED,
 ) -> DataFrame:
     """doc_id, source, size, source_size, target, copies, taken: one row per document."""
+    return only_result(spark, "mix", lambda: _mixed(spark, docs, share, most, weights, seed))
+
+
+def _mixed(spark: SparkSession, docs: DataFrame, share: float, most: float, weights: tuple[float, ...], seed: int) -> DataFrame:
     light = written_table(spark, docs.select("doc_id", "source", words().alias("size")), "mix-light")
     sizes = light.groupBy("source").agg(F.sum("size").alias("source_size"))
     goal = targets(sizes, share, most, weights).select(
@@ -88,17 +92,7 @@ def mix(
     order = [F.col("size"), tie, F.col("doc_id")]
     ranked = rank_within(spark, light, "source", order, "_rank", "mix-ranked")
     ranked = ranked.join(goal, F.col("source").eqNullSafe(F.col("_s"))).drop("_s")
-    choices = offsets(seed)
-    # words over or under the target for every candidate offset: one row per source
-    off = ranked.groupBy("source").agg(
-        *(F.abs(F.sum(_copies(F.lit(u)) * F.col("size")) - F.first("target")).alias(f"_off{k}") for k, u in enumerate(choices))
-    )
-    best = off.select(
-        F.col("source").alias("_s"),
-        F.array_min(F.array(*(F.struct(F.col(f"_off{k}").alias("off"), F.lit(u).alias("u")) for k, u in enumerate(choices))))["u"].alias("_u"),
-    )
-    chosen = ranked.join(best, F.col("source").eqNullSafe(F.col("_s")))
-    return chosen.withColumn("copies", _copies(F.col("_u"))).select(
+    return ranked.withColumn("copies", _copies(F.lit(offset(seed)))).select(
         "doc_id",
         "source",
         "size",

@@ -36,8 +36,6 @@ def op9_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {"op2_mixing": op2_mixing, "op8_exact_dedup": op8_exact_dedup, "op9_sharding": op9_sharding}
 
-_OFFSETS = ", ".join(f"(CAST({u!r} AS DOUBLE))" for u in mixing.offsets())
-
 ORACLE_SQL = {
     "op2_mixing": f"""
 WITH doc AS (
@@ -63,15 +61,10 @@ ranked AS (
   SELECT d.doc_id, d.source, d.size, g.source_size, g.target,
          CASE WHEN g.source_size > 0 THEN g.target / g.source_size ELSE 0 END AS ratio,
          row_number() OVER (PARTITION BY d.source ORDER BY d.size, md5('{mixing.SEED}:' || d.doc_id), d.doc_id) - 1 AS r
-  FROM doc d JOIN goal g ON d.source IS NOT DISTINCT FROM g.source),
-tried AS (
-  SELECT source, u,
-         abs(sum((floor(ratio * (r + 1) + u) - floor(ratio * r + u)) * size) - any_value(target)) AS off
-  FROM ranked, (VALUES {_OFFSETS}) AS o(u) GROUP BY source, u),
-best AS (SELECT source, u FROM tried QUALIFY row_number() OVER (PARTITION BY source ORDER BY off, u) = 1)
-SELECT r.doc_id, r.size, r.source_size, r.target,
+  FROM doc d JOIN goal g ON d.source IS NOT DISTINCT FROM g.source)
+SELECT doc_id, size, source_size, target,
        CAST((floor(ratio * (r + 1) + u) - floor(ratio * r + u)) * size AS BIGINT) AS taken
-FROM ranked r JOIN best b ON r.source IS NOT DISTINCT FROM b.source
+FROM ranked, (SELECT CAST({mixing.offset()!r} AS DOUBLE) AS u) AS o
 """,
     "op8_exact_dedup": """
 WITH t AS (

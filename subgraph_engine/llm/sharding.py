@@ -22,20 +22,24 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from subgraph_engine.functions.ranking import global_rank, rank_within
-from subgraph_engine.storage import written_table
+from subgraph_engine.storage import only_result, written_table
 
 SEED = 20_240_917
 
 
 def shard_rows(spark: SparkSession, docs: DataFrame, shards: int, seed: int = SEED) -> DataFrame:
     """doc_id, source, size, text_crc32, shard (0 ..) and slot (0 .. within its shard)."""
+    return only_result(spark, "shards", lambda: _sharded(spark, docs, shards, seed))
+
+
+def _sharded(spark: SparkSession, docs: DataFrame, shards: int, seed: int) -> DataFrame:
     light = docs.select(
         "doc_id",
         "source",
         (F.coalesce(F.octet_length("text"), F.lit(0)) + 1).cast("long").alias("size"),
         F.crc32(F.coalesce(F.col("text"), F.lit("")).cast("binary")).alias("text_crc32"),
     )
-    light = light.withColumn("_mix", F.xxhash64(F.lit(seed), F.col("doc_id"), F.col("text_crc32")))
+    light = light.withColumn("_mix", F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("doc_id").cast("string"), F.col("text_crc32").cast("string"))))
     light = written_table(spark, light, "shard-light")
     ranked = rank_within(spark, light, "source", [F.col("_mix"), F.col("doc_id")], "_rank", "shard-source")
     counts = light.groupBy(F.col("source").alias("_s")).agg(F.count(F.lit(1)).alias("_rows"))

@@ -89,7 +89,12 @@ def test_minhash(spark, odd, none):
     assert got[3] == (3, 3, True) and got[4] == (3, 3, False) and got[6] == (3, 3, False)
     assert got[5][0] == 1 and got[7][1] == 7 and got[8] == (1, 8, True)
     assert minhash.near_duplicates(spark, none).count() == 0
-    assert minhash.drop_near_duplicates(spark, odd).columns == odd.columns
+    kept = minhash.drop_near_duplicates(spark, odd, 4)
+    assert kept.columns == odd.columns
+    # texts without words stay, of each group one row stays, ids before null
+    assert sorted(str(r.doc_id) for r in kept.collect()) == ["1", "2", "3", "5", "7", "8", "None", "None"]
+    twins = docs_of(spark, [(None, "a b c d e f", "x"), (None, "a b c d e f", "x"), (9, "u v w x y z", "x"), (9, "other words than those are here", "x")])
+    assert sorted((str(r.doc_id), r.text[:1]) for r in minhash.drop_near_duplicates(spark, twins, 4).collect()) == [("9", "o"), ("9", "u"), ("None", "a")]
 
 
 def test_bpe(spark, odd, none):

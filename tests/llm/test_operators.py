@@ -13,6 +13,21 @@ from hypothesis import strategies as st
 from subgraph_engine.llm import bpe, exact_dedup, html_text, license_scan, minhash, mixing, planes, registry, sharding, topk, toxicity
 
 
+@pytest.mark.parametrize(("similarity", "least"), [(0.80, 0.99), (0.85, 0.995)])
+def test_tables_find_planted_pairs(similarity, least):
+    """Pairs whose shingle sets are just as similar share a table."""
+    draw = np.random.Generator(np.random.PCG64(6))
+    shingler, found, n = minhash.Shingler(5), 0, 1500
+    for _ in range(n):
+        size = int(draw.integers(30, 400))
+        common = int(np.ceil(2 * size * similarity / (1 + similarity)))
+        hashes = draw.integers(0, 2**64, 2 * size - common, dtype=np.uint64)
+        a, b = (shingler.keys(np.sort(x)) for x in (hashes[:size], hashes[size - common :]))
+        same = a == b
+        found += same[: minhash.SIDE].any() and same[minhash.SIDE :].any()
+    assert found / n >= least
+
+
 def brute_components(docs, words, percent):
     sets = {}
     for i, text in docs:
@@ -252,6 +267,19 @@ def test_mixture_comes_near_its_targets(spark, sf_dir):
     assert abs(sum(target for _, target, *_ in by_source.values()) - 1.5 * total) < 1e-3 * total
 
 
+def test_every_offset_keeps_near_the_targets(spark, sf_dir):
+    """One offset is drawn; over many seeds the copies of a source are what is expected."""
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").cache()
+    offsets = [mixing.offset(seed) for seed in range(400)]
+    assert all(0 <= u < 1 for u in offsets) and abs(sum(offsets) / 400 - 0.5) < 0.05
+    expected, mean = {}, {}
+    for seed in range(6):
+        for r in mixing.mix(spark, docs, seed=seed).collect():
+            mean[r.source] = mean.get(r.source, 0) + r.taken / 6
+            expected[r.source] = r.target
+    assert all(abs(mean[s] - t) < 0.12 * t + 50 for s, t in expected.items())
+
+
 def test_targets_by_repeated_dealing(spark):
     """The closed form against dealing the excess again and again."""
     draw = random.Random(8)
@@ -294,6 +322,32 @@ def test_every_shard_has_the_mixture(spark, sf_dir):
     assert sorted(map(tuple, rows)) == sorted(map(tuple, again))
 
 
+@pytest.mark.parametrize("shards", [1, 4, 16, 700])
+def test_shards_by_plain_python(spark, sf_dir, duck, shards):
+    """Seeded ranks within sources, fractions, one order, equal cuts: by lists."""
+    rows = duck.sql("SELECT doc_id, source, text FROM documents").fetchall() + [(None, None, None), (None, "src1", "x"), (5, None, "")]
+    docs = spark.createDataFrame(rows, "doc_id long, source string, text string")
+    held = []
+    for i, source, text in rows:
+        crc = zlib.crc32((text or "").encode())
+        mixed = hashlib.md5(":".join(str(x) for x in (sharding.SEED, i, crc) if x is not None).encode()).hexdigest()
+        held.append((source, mixed, (i is not None, i or 0), i, crc, len((text or "").encode()) + 1))
+    ordered = []
+    for source in {h[0] for h in held}:
+        own = sorted(h for h in held if h[0] == source) if source is not None else sorted((h for h in held if h[0] is None), key=lambda h: h[1:3])
+        ordered += [((k + 0.5) / len(own), source is None, source or "", *h[1:]) for k, h in enumerate(own)]
+    ordered.sort(key=lambda h: h[:5])
+    small, longer = divmod(len(rows), shards)
+    want, at = [], 0
+    for shard in range(shards):
+        for slot in range(small + (shard < longer)):
+            *_, i, crc, size = ordered[at]
+            want.append((i, size, crc, shard, slot))
+            at += 1
+    got = [(r.doc_id, r.size, r.text_crc32, r.shard, r.slot) for r in sharding.shard_rows(spark, docs, shards).collect()]
+    assert sorted(got, key=repr) == sorted(want, key=repr)
+
+
 def test_written_shards(spark, sf_dir, tmp_path):
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     sharding.write_shards(spark, docs, 3, f"{tmp_path}/shards")
@@ -477,6 +531,35 @@ def test_site_templates(spark):
     assert {r.page_id: r.text for r in joined.collect()} == got
 
 
+def unnamed(markup):
+    """The page with neutral tags and class names."""
+    import re
+
+    for k, tag in enumerate(("nav", "footer", "article", "aside", "main", "header")):
+        markup = re.sub(rf"<(/?){tag}\b[^>]*>", lambda m: f"</div>" if m[1] else f'<div class="k{k}">', markup)
+    return re.sub(r'class="(ad|sidebar|comments?|cookie[^"]*|menu|newsletter)"', lambda m: f'class="z{len(m[1])}"', markup)
+
+
+def test_recurrence_alone_separates_furniture(spark, sf_dir, duck):
+    """Pages without telling tags or names on their own hosts: what goes, goes by counts."""
+    import html
+    import re
+
+    rows = duck.sql(f"SELECT page_id, url, html FROM '{sf_dir.replace('sf0.001', 'sf0.1')}/pages.parquet'").fetchall()
+    pages = spark.createDataFrame([(i, u, unnamed(h)) for i, u, h in rows], "page_id long, url string, html string")
+    want = {i: " ".join(html.unescape(re.sub(r"<[^>]*>", " ", re.search(r"<article>(.*)</article>", h, re.S)[1])).split()) for i, _, h in rows}
+    got = {r.page_id: r.text for r in html_text.extract(spark, pages).collect()}
+    assert sum(got[i] == want[i] for i in want) >= 0.95 * len(want)
+    # without the counts the furniture stays
+    assert not any(html_text.Page(unnamed(h)).main_text(frozenset(), html_text.host_of(u)) == want[i] for i, u, h in rows[:200])
+
+
+def test_templates_of_the_given_pages(spark, sf_dir):
+    """Counting finds the hosts' menus, adverts and footers on the tables as they are."""
+    pages = spark.read.parquet(f"{sf_dir.replace('sf0.001', 'sf0.1')}/pages.parquet")
+    assert html_text.find_templates(spark, pages).count() > 0
+
+
 def test_pages_against_their_articles(spark, sf_dir, duck):
     import html
     import re
