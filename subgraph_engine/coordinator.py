@@ -17,10 +17,11 @@ from pyspark.sql import functions as F
 
 from subgraph_engine.engines import ENGINES
 from subgraph_engine.engines.base import Engine, explicit_layout
+from subgraph_engine.engines.store import StoreEngine
 from subgraph_engine.model import GraphSpec, JobRequest, JobResult
 from subgraph_engine.modes import choose_mode, waves
 from subgraph_engine.programs import lookup
-from subgraph_engine.storage import shared_path
+from subgraph_engine.storage import scratch, shared_path
 
 
 class Coordinator:
@@ -34,24 +35,37 @@ class Coordinator:
         mode = request.mode or choose_mode(request.max_worker, request.partitions, request.threads, request.strict_partition_rule)
         options = {k: v for k, v in request.options.items() if k != "local_sweeps"}
         program = lookup(request.algorithm)(**options)
-        engine = ENGINES[self.engine](self.spark, self.graph, program, request, self.placement, pinned=mode == "pinned")
-        state = engine.prepare()
         history: list[dict[str, Any]] = []
-        step = self._rotate(engine, request) if mode == "rotating" else engine.superstep
+        path = shared_path(self.spark, "job-values")
+        with scratch(self.spark):  # placement, arcs, routes, messages and states go with the job
+            engine = ENGINES[self.engine](self.spark, self.graph, program, request, self.placement, pinned=mode == "pinned")
+            try:
+                values = self._supersteps(engine, request, mode, until, history)
+                values.write.option("compression", "zstd").parquet(path)
+            finally:
+                engine.close()
+        return JobResult(self.spark.read.schema(values.schema).parquet(path), history, mode, request)
+
+    def _supersteps(self, engine: Engine, request: JobRequest, mode: str, until, history: list[dict[str, Any]]) -> DataFrame:
+        state = engine.prepare()
+        if mode == "pinned":
+            step = engine.superstep
+        elif isinstance(engine, StoreEngine):
+            step = engine.rotation(min(request.max_worker, engine.functions), request.preload)
+        else:
+            step = self._rotate(engine, request)
         k = 0
         while True:
             state, counted = step(k, state)
-            unfinished = request.partitions if counted["vertices"] != engine.n_vertices else 0
-            last = program.ends(k, counted) or k + 1 >= request.max_supersteps or bool(until and until(counted))
+            missing = request.partitions if counted["vertices"] != engine.n_vertices else 0
+            last = engine.program.ends(k, counted) or k + 1 >= request.max_supersteps or bool(until and until(counted))
             history.append(
-                {"superstep": k, "unfinished": unfinished, "keep_going": counted["changed"] > 0, "finish": last}
-                | {n: int(counted[n] or 0) for n in ("changed", "active", "arcs_scanned", "messages")}
+                {"superstep": k, "unfinished": counted.get("unfinished", missing), "keep_going": counted["changed"] > 0, "finish": last}
+                | {n: int(counted.get(n) or 0) for n in ("changed", "active", "arcs_scanned", "messages", "keys", "bytes")}
             )
             if last:
-                break
+                return engine.values(state)
             k += 1
-        engine.close()
-        return JobResult(state.select("vid", "value"), history, mode, request)
 
     def _rotate(self, engine: Engine, request: JobRequest):
         """Supersteps in waves of at most so many partitions as workers may run."""
@@ -69,6 +83,10 @@ class Coordinator:
         def wave_arcs(pids: list[int] | None) -> DataFrame:
             return ready[0] if pids == plan[0] and 0 in ready else read(pids)
 
+        def forget() -> None:
+            if 0 in ready:
+                ready.pop(0).unpersist()
+
         engine.wave_arcs = wave_arcs
 
         def step(k: int, state: DataFrame) -> tuple[DataFrame, dict[str, Any]]:
@@ -80,6 +98,8 @@ class Coordinator:
                         loading = pool.submit(load, plan[0])  # workers without a partition fetch for the next superstep
                     engine.totals = totals
                     new, counted = engine._written(engine.advance(k, state, pids), path, "append")
+                    if i == 0:
+                        forget()  # loaded for one superstep; the next is loaded anew
                     engine._paths = [x for x in engine._paths if x != path] + [path]
                     for n, v in counted.items():
                         summed[n] = (summed.get(n) or 0) + (v or 0)
@@ -89,6 +109,12 @@ class Coordinator:
                     loading.result()
             return new, summed
 
+        def stop() -> None:
+            forget()
+            if pool:
+                pool.shutdown()
+
+        engine.on_close.append(stop)
         return step
 
 

@@ -8,6 +8,7 @@ from subgraph_engine.engines.simple import (  # noqa: F401
     VertexCentricEngine,
 )
 from subgraph_engine.engines.block import BlockEngine  # noqa: F401
+from subgraph_engine.engines.store import StoreEngine  # noqa: F401
 
 ENGINES = {
     "partition": PartitionEngine,
@@ -16,4 +17,5 @@ ENGINES = {
     "shared_memory": SharedMemoryEngine,
     "per_vertex_kv": PerVertexKeyEngine,
     "block": BlockEngine,
+    "store": StoreEngine,
 }

@@ -49,6 +49,7 @@ class Engine:
     totals: dict[str, Any] = field(default_factory=dict, init=False)
     changed_share: float = field(default=1.0, init=False)
     _paths: list[str] = field(default_factory=list, init=False)
+    on_close: list[Any] = field(default_factory=list, init=False)
 
     needs_routes = True
 
@@ -153,5 +154,11 @@ class Engine:
         self._paths = self._paths[-3:]
         return self.spark.read.schema(new.schema).parquet(path), metrics
 
+    def values(self, state: DataFrame) -> DataFrame:
+        """vid, value after the last superstep."""
+        return state.select("vid", "value")
+
     def close(self) -> None:
         """Frees what pinned workers keep."""
+        for stop in self.on_close:
+            stop()

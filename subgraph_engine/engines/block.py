@@ -49,4 +49,7 @@ class BlockEngine(PartitionEngine):
         return arcs.groupBy("pid").cogroup(mirror.groupBy("pid")).applyInArrow(run, schema)
 
     def activated(self, k: int) -> bool:
+        """Blocks are swept whole; activation over arrays is with the store engine."""
+        if self.request.activate_from is not None or self.request.activate_below is not None:
+            raise ValueError("the block engine has no activation; the partition and store engines have")
         return False

@@ -73,5 +73,6 @@ class PartitionEngine(Engine):
         return got
 
     def close(self) -> None:
-        for df in self._kept:
+        for df in getattr(self, "_kept", ()):
             df.unpersist()
+        super().close()

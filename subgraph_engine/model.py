@@ -60,6 +60,12 @@ class JobRequest:
     #: activate once the share of changed vertices falls below this
     activate_below: float | None = None
     preload: bool = False
+    #: of the store engine: one payload per ordered pair of functions, or a key per vertex
+    aggregate: bool = True
+    #: of the store engine's messages: json, binary, or binary+zstd
+    codec: str = "binary+zstd"
+    #: of the store engine: items of one payload row at most
+    batch_rows: int = 10_000
     mode: str | None = None
     strict_partition_rule: bool = False
     max_supersteps: int = 10_000

@@ -180,6 +180,13 @@ class Ranks(Program):
     def totals(self) -> dict[str, Column]:
         return {"lost": F.sum(F.when(F.col("sink"), F.col("value")).otherwise(0.0)), "moved": F.sum(F.abs(F.col("value") - F.col("old")))}
 
+    def settle(self, values, got, seen, totals, static):
+        lost = float(totals.get("lost") or 0.0)
+        return (1 - self.damping) * static["base"] + self.damping * (np.where(seen, got, 0.0) + lost * static["base"])
+
+    def sums(self, old, new, static):
+        return {"lost": float(new[static["sink"] > 0].sum()), "moved": float(np.abs(new - old).sum())}
+
     def ends(self, superstep: int, metrics: dict[str, Any]) -> bool:
         return superstep + 1 >= self.iters or self.tol is not None and (metrics["moved"] or 0.0) < self.tol
 

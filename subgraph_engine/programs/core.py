@@ -85,6 +85,14 @@ class Program:
         """Whether this was the last superstep."""
         return metrics["changed"] == 0
 
+    def settle(self, values: np.ndarray, got: np.ndarray, seen: np.ndarray, totals: dict[str, Any], static: dict[str, np.ndarray]) -> np.ndarray:
+        """``apply`` on arrays: new values from own values and what ``sweep`` gave where ``seen`` says that it did."""
+        return np.where(seen, got, values)
+
+    def sums(self, old: np.ndarray, new: np.ndarray, static: dict[str, np.ndarray]) -> dict[str, float]:
+        """``totals`` on arrays, of a part of the vertices."""
+        return {}
+
     def sweep(self, values: np.ndarray, arcs: dict[str, np.ndarray], totals: dict[str, Any]) -> np.ndarray:
         """New values of the vertices that are an arc's dst.
 

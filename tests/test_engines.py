@@ -60,6 +60,9 @@ def values(result):
     {}, {"partitions": 1}, {"partitions": 40}, {"activate_from": 0}, {"activate_from": 1}, {"activate_below": 0.5}, {"max_worker": 2}, {"max_worker": 3, "preload": True},
     {"partitions": 6, "threads": 3, "max_worker": 2}, {"engine": "block"}, {"engine": "block", "local_sweeps": "fixpoint"}, {"engine": "vertex_centric"},
     {"engine": "edge_centric"}, {"engine": "shared_memory"}, {"engine": "per_vertex_kv"}, {"engine": "block", "max_worker": 2},
+    {"engine": "store"}, {"engine": "store", "threads": 2}, {"engine": "store", "threads": 4}, {"engine": "store", "partitions": 40}, {"engine": "store", "codec": "json"},
+    {"engine": "store", "codec": "binary", "batch_rows": 2}, {"engine": "store", "aggregate": False}, {"engine": "store", "activate_from": 1}, {"engine": "store", "activate_from": 0, "threads": 2},
+    {"engine": "store", "max_worker": 2}, {"engine": "store", "max_worker": 1, "preload": True}, {"engine": "store", "partitions": 6, "threads": 2, "max_worker": 2, "preload": True},
 ], ids=str)
 def test_components_are_the_same_however_they_are_run(spark, bridge, how):
     result = run_job(spark, bridge, "wcc", **how)
@@ -70,7 +73,7 @@ def test_components_are_the_same_however_they_are_run(spark, bridge, how):
     assert result.mode == ("rotating" if how.get("max_worker", 99) * how.get("threads", 1) < how.get("partitions", 4) else "pinned")
 
 
-@pytest.mark.parametrize("engine", ["partition", "block", "vertex_centric", "edge_centric", "shared_memory"])
+@pytest.mark.parametrize("engine", ["partition", "block", "store", "vertex_centric", "edge_centric", "shared_memory"])
 def test_ranks(spark, bridge, engine):
     got = values(run_job(spark, bridge, "pagerank", engine, iters=5))
     want = python_ranks(bridge, 5)
@@ -81,14 +84,14 @@ def test_ranks(spark, bridge, engine):
 def test_ranks_with_sinks_and_rotation(spark):
     g = graph(spark, [(1, 2), (1, 3), (2, 3), (4, 3)], [9], directed=True)
     want = python_ranks(g, 6)
-    for how in ({}, {"max_worker": 1}):
+    for how in ({}, {"max_worker": 1}, {"engine": "store"}, {"engine": "store", "max_worker": 3, "preload": True}):
         got = values(run_job(spark, g, "pagerank", iters=6, **how))
         assert all(abs(got[v] - want[v]) < 1e-12 for v in want)
 
 
 def test_communities_vote_in_both_directions(spark):
     g = graph(spark, [(1, 3), (3, 1), (2, 3), (5, 3)], directed=True)
-    for engine in ("partition", "block"):
+    for engine in ("partition", "block", "store"):
         got = values(run_job(spark, g, "cdlp", engine, iters=1))
         assert got == {1: 3, 2: 3, 3: 1, 5: 3}  # the reciprocal arc votes twice for 1
     with pytest.raises(UnsupportedAlgorithm):
@@ -110,7 +113,7 @@ def test_search_and_paths(spark):
     depth = {r.vid: r.depth for r in al.bfs(spark, g, source=0).collect()}
     assert depth == {0: 0, 1: 1, 2: 1, 3: 2, 9: UNREACHABLE}
     assert {r.vid: r.depth for r in al.bfs(spark, g, source=0, max_depth=1, null_unreachable=True).collect()}[3] is None
-    for engine in ("partition", "block"):
+    for engine in ("partition", "block", "store"):
         dist = values(run_job(spark, g, "sssp", engine, source=0))
         assert dist == {0: 0.0, 2: 1.0, 1: 2.0, 3: 3.0, 9: float("inf")}
     tree = {r.vid: r.parent for r in al.bfs_parents(g, al.bfs(spark, g, source=0)).collect()}
@@ -119,7 +122,7 @@ def test_search_and_paths(spark):
 
 def test_empty_and_single(spark):
     empty = graph(spark, [])
-    assert run_job(spark, empty, "wcc").values.count() == 0
+    assert run_job(spark, empty, "wcc").values.count() == run_job(spark, empty, "wcc", "store").values.count() == 0
     assert values(run_job(spark, graph(spark, [], [5]), "pagerank", iters=2)) == {5: 1.0}
     assert star_components(spark, empty.edges).count() == 0
 
@@ -203,6 +206,76 @@ def test_placements(spark, sf_dir, bridge):
     assert many.count() == bridge.vertices.count()
 
 
+def test_what_is_written_is_what_is_counted(spark, sf_dir):
+    """Keys and messages in the store against the counts of the scheme, by functions and by vertices."""
+    g = graphs.basket(spark, sf_dir)
+    placement = written_table(spark, prepare.partition_by_degree(spark, g, 4), "t")
+    kept, sizes = {}, {}
+    for t in (1, 2, 4):
+        how = {"placement": placement, "partitions": 4, "threads": t, "iters": 2}
+        want = messaging.message_counts(g, placement, messaging.worker_table(spark, messaging.colocate(4, t))).first()
+        rows = run_job(spark, g, "pagerank", "store", **how).history
+        assert all((h["messages"], h["keys"]) == (want.function_messages, want.function_keys) for h in rows)
+        kept[t] = rows[0]["messages"]
+        sizes[t] = rows[0]["bytes"]
+    assert kept[1] > kept[2] > kept[4] == 0 and sizes[1] > sizes[2] > sizes[4] == 0
+    apart = run_job(spark, g, "pagerank", "store", aggregate=False, placement=placement, partitions=4, iters=1).history[0]
+    writes = messaging.key_accesses(g, placement, "vertex").agg({"writes": "sum"}).first()[0]
+    assert (apart["messages"], apart["keys"]) == (kept[1], writes)
+    bytes_of = {c: run_job(spark, g, "wcc", "store", codec=c, placement=placement, partitions=4, max_supersteps=1).history[0]["bytes"] for c in ("json", "binary", "binary+zstd")}
+    assert bytes_of["json"] > bytes_of["binary"] > bytes_of["binary+zstd"]
+
+
+def test_pinned_store_holds_messages_alone(spark, bridge, monkeypatch):
+    """Arrays are written by rotating workers, not by pinned ones, which write them only now and then."""
+    from subgraph_engine.engines import store as engine_module
+
+    written = {}
+    real = engine_module.ParquetStore.put
+
+    def put(self, superstep, rows, part=0):
+        real(self, superstep, rows, part)
+        written.setdefault(superstep, set()).update(r.kind for r in self.get("partial", superstep).limit(1).collect())
+
+    monkeypatch.setattr(engine_module.ParquetStore, "put", put)
+    run_job(spark, bridge, "wcc", "store")
+    assert not any(kinds for step, kinds in written.items() if step >= 0)
+    written.clear()
+    run_job(spark, bridge, "wcc", "store", max_worker=2)
+    assert all(kinds == {"partial"} for kinds in written.values())
+    path = graph(spark, [(k, k + 1) for k in range(12)])
+    monkeypatch.setattr(engine_module, "COMPACT", 3)
+    written.clear()
+    assert values(run_job(spark, path, "wcc", "store")) == dict.fromkeys(range(13), 0)
+    assert [step for step, kinds in sorted(written.items()) if kinds] == [-1, *range(2, max(written) + 1, 3)]
+
+
+def test_workers_take_what_is_left(spark, bridge):
+    from subgraph_engine.engines.store import StoreEngine
+    from subgraph_engine.programs.algorithms import Components
+
+    engine = StoreEngine(spark, bridge, Components(), JobRequest("wcc", partitions=5, max_worker=2), pinned=False)
+    state = engine.prepare()
+    step = engine.rotation(2, preload=True)
+    for k in range(2):
+        step(k, state)
+        assert sorted(wid for _, wid in engine.order) == list(range(5))
+        assert len({worker for worker, _ in engine.order}) <= 2
+    engine.close()
+
+
+def test_scratch_of_a_job_is_deleted(spark, bridge):
+    import os
+
+    from subgraph_engine.storage import shared_root
+
+    root = shared_root(spark).removeprefix("file://")
+    before = set(os.listdir(root))
+    for engine in ("partition", "store"):
+        run_job(spark, bridge, "wcc", engine)
+    assert {n.split("-")[0] + "-" + n.split("-")[1] for n in set(os.listdir(root)) - before} == {"job-values"}
+
+
 def test_blocks_round_trip(spark, sf_dir, tmp_path):
     g = graphs.supply(spark, sf_dir)
     placement = written_table(spark, prepare.partition_by_degree(spark, g, 3), "t")
