@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -19,7 +21,6 @@ KNN_PLACES = 6
 KNN_BLOCK = 1024
 SESSION_GAP_HOURS = 6
 LONG_LINE = 60
-SHARED_BY = (2, 20)
 
 
 def _ends(edges: DataFrame) -> DataFrame:
@@ -154,18 +155,34 @@ def page_links(spark: SparkSession, sf_dir: str) -> GraphSpec:
 
 
 def knn(spark: SparkSession, sf_dir: str) -> GraphSpec:
-    """Vectors to their five nearest by cosine; all pairs, in tiles of two blocks."""
+    """Vectors to their five nearest by cosine; all pairs, in tiles of two blocks, a matrix product each.
+
+    A tile keeps every vector's five best of its block, so what leaves it is narrow.
+    """
     rows = load(spark, sf_dir, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("v"))
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    rows = rows.select("vec_id", "v", F.sqrt(dot(F.col("v"), F.col("v"))).alias("norm"))
     blocks = max(1, rows.count() // KNN_BLOCK)
     rows = rows.withColumn("block", F.pmod(F.col("vec_id"), F.lit(blocks)))
     all_blocks = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
-    left = rows.select(F.col("vec_id").alias("src"), F.col("v").alias("a"), F.col("norm").alias("na"), F.col("block").alias("i"), all_blocks.alias("j"))
-    right = rows.select(F.col("vec_id").alias("dst"), F.col("v").alias("b"), F.col("norm").alias("nb"), all_blocks.alias("i"), F.col("block").alias("j"))
-    near = left.join(right, ["i", "j"]).filter("src <> dst")
-    near = near.withColumn("weight", F.round(dot(F.col("a"), F.col("b")) / (F.col("na") * F.col("nb")), KNN_PLACES))
-    best = Window.partitionBy("src").orderBy(F.col("weight").desc(), "dst")
+    left = rows.select("vec_id", "v", F.col("block").alias("i"), all_blocks.alias("j"))
+    right = rows.select("vec_id", "v", all_blocks.alias("i"), F.col("block").alias("j"))
+
+    def nearest(a: pa.Table, b: pa.Table) -> pa.Table:
+        out: tuple[list, list, list] = ([], [], [])
+        if a.num_rows and b.num_rows:
+            src, dst = a.column("vec_id").to_numpy(), b.column("vec_id").to_numpy()
+            x, y = (np.array(t.column("v").to_pylist(), float) for t in (a, b))
+            near = np.round((x @ y.T) / np.sqrt((x * x).sum(axis=1))[:, None] / np.sqrt((y * y).sum(axis=1))[None, :], KNN_PLACES)
+            near[src[:, None] == dst[None, :]] = -np.inf
+            for k, row in enumerate(near):
+                best = np.lexsort((dst, -row))[:KNN]
+                best = best[row[best] > -np.inf]
+                out[0].extend([src[k]] * len(best))
+                out[1].extend(dst[best])
+                out[2].extend(row[best])
+        return pa.table({"src": pa.array(out[0], pa.int64()), "dst": pa.array(out[1], pa.int64()), "weight": pa.array(out[2], pa.float64())})
+
+    near = left.groupBy("i", "j").cogroup(right.groupBy("i", "j")).applyInArrow(nearest, "src long, dst long, weight double")
+    best = Window.partitionBy("src").orderBy(F.col("weight").desc(), "dst")  # five rows of each block
     near = near.select("src", "dst", "weight", F.row_number().over(best).alias("rank")).filter(F.col("rank") <= KNN)
     # written once: jobs read edges several times, and all pairs are dear
     near = written_table(spark, near.select("src", "dst", "weight"), "knn-edges")
@@ -173,7 +190,7 @@ def knn(spark: SparkSession, sf_dir: str) -> GraphSpec:
 
 
 def doc_dup(spark: SparkSession, sf_dir: str) -> GraphSpec:
-    """Documents with an equal text, or a long line that few documents share.
+    """Documents with an equal text, or with a long line in common.
 
     Every such group is a star around its smallest document, so copies do not
     make pairs.
@@ -183,13 +200,11 @@ def doc_dup(spark: SparkSession, sf_dir: str) -> GraphSpec:
     lines = docs.select("doc_id", F.explode(F.split("text", "\n")).alias("line")).filter(F.length("line") > LONG_LINE)
     lines = lines.select("doc_id", F.sha2("line", 256).alias("key")).distinct()
 
-    def stars(rows: DataFrame, most: int | None) -> DataFrame:
-        size = F.count(F.lit(1))
-        groups = rows.groupBy("key").agg(F.min("doc_id").alias("dst"), size.alias("n")).filter("n > 1")
-        groups = groups.filter(F.col("n") <= most) if most else groups
+    def stars(rows: DataFrame) -> DataFrame:
+        groups = rows.groupBy("key").agg(F.min("doc_id").alias("dst"), F.count(F.lit(1)).alias("n")).filter("n > 1")
         return rows.join(groups, "key").filter("doc_id <> dst").select(F.col("doc_id").alias("src"), "dst")
 
-    return _graph("doc_dup", stars(whole, None).unionByName(stars(lines, SHARED_BY[1])))
+    return _graph("doc_dup", stars(whole).unionByName(stars(lines)))
 
 
 def dialog(spark: SparkSession, sf_dir: str) -> GraphSpec:

@@ -53,10 +53,16 @@ def op_filter_edges(spark, d):
     return load(spark, d, "lineitem").filter(keep & c("l_linestatus").like("O%") & c("l_shipdate").isNotNull()).select("l_orderkey", "l_partkey")
 
 
-@query("op_induced_subgraph", f"SELECT src, dst FROM ({BASKET}) WHERE src % 3 = 0 AND dst % 3 = 0")
+@query(
+    "op_induced_subgraph",
+    f"""SELECT src, dst FROM ({BASKET}) WHERE src IN (SELECT o_orderkey * 2 FROM orders WHERE o_orderstatus = 'F')
+AND dst IN (SELECT p_partkey * 2 + 1 FROM part WHERE p_size > 25)""",
+)
 def op_induced_subgraph(spark, d):
-    g = graphs.basket(spark, d)
-    return lib.induced_subgraph(g.edges, g.vertices.filter("vid % 3 = 0")).select("src", "dst")
+    """Filled orders and the large parts on them."""
+    orders = load(spark, d, "orders").filter("o_orderstatus = 'F'").select(graphs.even("o_orderkey").alias("vid"))
+    parts = load(spark, d, "part").filter("p_size > 25").select(graphs.odd("p_partkey").alias("vid"))
+    return lib.induced_subgraph(graphs.basket(spark, d).edges, orders.unionByName(parts)).select("src", "dst")
 
 
 @query("op_wave_prune", f"SELECT CAST(src % 4 AS INTEGER) AS pid, count(*) AS n FROM ({BASKET}) WHERE src % 4 IN (0, 2) GROUP BY 1")
@@ -90,21 +96,21 @@ def op_join_broadcast(spark, d):
     return both.select("c_custkey", "n_name", "r_name")
 
 
-@query("op_join_outer", "SELECT c_custkey, o_orderkey FROM customer FULL JOIN (SELECT * FROM orders WHERE o_orderkey % 7 = 0) ON c_custkey = o_custkey")
+@query("op_join_outer", "SELECT c_custkey, o_orderkey FROM customer FULL JOIN orders ON c_custkey = o_custkey")
 def op_join_outer(spark, d):
-    c, o = load(spark, d, "customer"), load(spark, d, "orders").filter("o_orderkey % 7 = 0")
+    c, o = load(spark, d, "customer"), load(spark, d, "orders")
     return c.join(o, c["c_custkey"] == o["o_custkey"], "full").select("c_custkey", "o_orderkey")
 
 
-@query("op_join_left", "SELECT p_partkey, count(l_orderkey) AS lines FROM part LEFT JOIN lineitem ON p_partkey = l_partkey AND l_quantity > 49 GROUP BY p_partkey")
+@query("op_join_left", "SELECT p_partkey, count(l_orderkey) AS lines FROM part LEFT JOIN lineitem ON p_partkey = l_partkey GROUP BY p_partkey")
 def op_join_left(spark, d):
-    p, li = load(spark, d, "part"), load(spark, d, "lineitem").filter("l_quantity > 49")
+    p, li = load(spark, d, "part"), load(spark, d, "lineitem")
     return p.join(li, p["p_partkey"] == li["l_partkey"], "left").groupBy("p_partkey").agg(F.count("l_orderkey").alias("lines"))
 
 
-@query("op_join_right", "SELECT s_suppkey, c_custkey FROM (SELECT * FROM customer WHERE c_custkey < 100) RIGHT JOIN supplier ON c_custkey = s_suppkey")
+@query("op_join_right", "SELECT s_suppkey, c_custkey FROM customer RIGHT JOIN supplier ON c_custkey = s_suppkey")
 def op_join_right(spark, d):
-    c, s = load(spark, d, "customer").filter("c_custkey < 100"), load(spark, d, "supplier")
+    c, s = load(spark, d, "customer"), load(spark, d, "supplier")
     return c.join(s, c["c_custkey"] == s["s_suppkey"], "right").select("s_suppkey", "c_custkey")
 
 
@@ -120,23 +126,25 @@ def op_join_anti(spark, d):
     return load(spark, d, "orders").join(li, "o_orderkey", "left_anti").select("o_orderkey")
 
 
-@query("op_join_self", "SELECT a.src AS a, b.src AS b, count(*) AS common FROM (SELECT DISTINCT o_custkey AS src, l_suppkey AS dst FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE l_suppkey < 5) a JOIN (SELECT DISTINCT o_custkey AS src, l_suppkey AS dst FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE l_suppkey < 5) b ON a.dst = b.dst AND a.src < b.src AND a.src < 40 AND b.src < 40 GROUP BY ALL")
+_LINES = "SELECT DISTINCT l_orderkey, l_partkey FROM lineitem"
+
+
+@query("op_join_self", f"SELECT a.l_partkey AS a, b.l_partkey AS b, count(*) AS common FROM ({_LINES}) a JOIN ({_LINES}) b ON a.l_orderkey = b.l_orderkey AND a.l_partkey < b.l_partkey GROUP BY ALL")
 def op_join_self(spark, d):
-    """Wedges: customers with suppliers in common."""
-    li, o = load(spark, d, "lineitem").filter("l_suppkey < 5"), load(spark, d, "orders").filter("o_custkey < 40")
-    e = li.join(o, li["l_orderkey"] == o["o_orderkey"]).select(F.col("o_custkey").alias("src"), F.col("l_suppkey").alias("dst")).distinct()
-    both = e.select(F.col("src").alias("a"), "dst").join(e.select(F.col("src").alias("b"), "dst"), "dst").filter("a < b")
+    """Wedges: parts with orders in common (an order has few lines, which bounds its pairs)."""
+    e = load(spark, d, "lineitem").select("l_orderkey", "l_partkey").distinct()
+    both = e.withColumnRenamed("l_partkey", "a").join(e.withColumnRenamed("l_partkey", "b"), "l_orderkey").filter("a < b")
     return both.groupBy("a", "b").agg(F.count(F.lit(1)).alias("common"))
 
 
-_SPANS = "SELECT user_id, min(epoch_us(ts)) AS s, max(epoch_us(ts)) AS e, date_trunc('month', ts) AS m FROM events WHERE event_id % 10 = 0 GROUP BY user_id, m"
+_SPANS = "SELECT user_id, min(epoch_us(ts)) AS s, max(epoch_us(ts)) AS e, date_trunc('month', ts) AS m FROM events WHERE event_type = 'purchase' GROUP BY user_id, m"
 
 
 @query("op_join_range", f"SELECT event_id, m FROM (SELECT event_id, user_id, epoch_us(ts) AS t FROM events) p JOIN ({_SPANS}) s ON p.user_id = s.user_id AND t >= s AND t < e")
 def op_join_range(spark, d):
-    ev = load(spark, d, "events").select("event_id", "user_id", F.unix_micros(F.col("ts").cast("timestamp")).alias("t"), F.date_trunc("month", "ts").cast("timestamp_ntz").alias("m"))
-    spans = ev.filter("event_id % 10 = 0").groupBy("user_id", "m").agg(F.min("t").alias("s"), F.max("t").alias("e"))
-    return lib.range_join(ev.drop("m"), spans, "t", "s", "e", 7 * 86400e6, ["user_id"]).select("event_id", "m")
+    ev = load(spark, d, "events").select("event_id", "user_id", F.unix_micros(F.col("ts").cast("timestamp")).alias("t"), F.date_trunc("month", "ts").cast("timestamp_ntz").alias("m"), "event_type")
+    spans = ev.filter("event_type = 'purchase'").groupBy("user_id", "m").agg(F.min("t").alias("s"), F.max("t").alias("e"))
+    return lib.range_join(ev.drop("m", "event_type"), spans, "t", "s", "e", 7 * 86400e6, ["user_id"]).select("event_id", "m")
 
 
 @query(
@@ -246,13 +254,13 @@ def op_topk_group(spark, d):
     return lib.top_per_group(load(spark, d, "orders"), ["o_custkey"], [F.col("o_totalprice").desc(), F.col("o_orderkey")], 3).select("o_custkey", "o_orderkey", "rank")
 
 
-_A, _B = "SELECT l_partkey AS k FROM lineitem WHERE l_quantity > 48", "SELECT l_partkey AS k FROM lineitem WHERE l_discount > 0.09"
+_A, _B = "SELECT l_partkey AS k FROM lineitem WHERE l_returnflag = 'R'", "SELECT l_partkey AS k FROM lineitem WHERE l_returnflag = 'A'"
 for _n, _op, _spark in (
     ("union", "UNION", lambda a, b: a.union(b).distinct()), ("union_all", "UNION ALL", lambda a, b: a.unionByName(b)), ("intersect", "INTERSECT", lambda a, b: a.intersect(b)),
     ("intersect_all", "INTERSECT ALL", lambda a, b: a.intersectAll(b)), ("except", "EXCEPT", lambda a, b: a.subtract(b)), ("except_all", "EXCEPT ALL", lambda a, b: a.exceptAll(b)),
 ):
     query(f"op_set_{_n}", f"{_A} {_op} {_B}")(
-        lambda spark, d, f=_spark: f(*(load(spark, d, "lineitem").filter(c).select(F.col("l_partkey").alias("k")) for c in ("l_quantity > 48", "l_discount > 0.09")))
+        lambda spark, d, f=_spark: f(*(load(spark, d, "lineitem").filter(c).select(F.col("l_partkey").alias("k")) for c in ("l_returnflag = 'R'", "l_returnflag = 'A'")))
     )
 
 

@@ -217,19 +217,19 @@ def pr_directed_patron(spark, d):
     return _ranked(spark, graphs.patron(spark, d))
 
 
-@query("pr_weighted_patron", oracle_sql.pagerank("patron", 5, weighted=True))
+@query("pr_weighted_patron", oracle_sql.pagerank("patron", weighted=True))
 def pr_weighted_patron(spark, d):
-    return _ranked(spark, graphs.patron(spark, d), iters=5, weighted=True)
+    return _ranked(spark, graphs.patron(spark, d), weighted=True)
 
 
-@query("pr_personal", oracle_sql.pagerank("knn", 6, restart="3, 4"))
+@query("pr_personal", oracle_sql.pagerank("knn", restart="3, 4"))
 def pr_personal(spark, d):
-    return _ranked(spark, graphs.knn(spark, d), iters=6, restart=(3, 4))
+    return _ranked(spark, graphs.knn(spark, d), restart=(3, 4))
 
 
-@query("pr_top20", oracle_sql.pagerank("supply", 5, tail="SELECT vid, round(r * (SELECT count(*) FROM v), 6) AS rank FROM last ORDER BY 2 DESC, 1 LIMIT 20"))
+@query("pr_top20", oracle_sql.pagerank("supply", tail="SELECT vid, round(r * (SELECT count(*) FROM v), 6) AS rank FROM last ORDER BY 2 DESC, 1 LIMIT 20"))
 def pr_top20(spark, d):
-    return al.top_ranked(_ranked(spark, graphs.supply(spark, d), iters=5), 20)
+    return al.top_ranked(_ranked(spark, graphs.supply(spark, d)), 20)
 
 
 @query("pr_tolerance")
@@ -237,9 +237,9 @@ def pr_tolerance(spark, d):
     return _ranked(spark, graphs.geo(spark, d), iters=50, tol=1e-3)
 
 
-@query("cdlp_copurchase", oracle_sql.cdlp("copurchase", 5))
+@query("cdlp_copurchase", oracle_sql.cdlp("copurchase"))
 def cdlp_copurchase(spark, d):
-    return al.cdlp(spark, graphs.copurchase(spark, d), 5)
+    return al.cdlp(spark, graphs.copurchase(spark, d))
 
 
 @query("cdlp_directed_knn", oracle_sql.cdlp("knn"))
@@ -247,9 +247,9 @@ def cdlp_directed_knn(spark, d):
     return al.cdlp(spark, graphs.knn(spark, d))
 
 
-@query("cdlp_sizes", oracle_sql.cdlp("geo", 4, "SELECT l AS label, count(*) AS members FROM last GROUP BY l"))
+@query("cdlp_sizes", oracle_sql.cdlp("geo", 10, "SELECT l AS label, count(*) AS members FROM last GROUP BY l"))
 def cdlp_sizes(spark, d):
-    return al.group_sizes(al.cdlp(spark, graphs.geo(spark, d), 4), "label")
+    return al.group_sizes(al.cdlp(spark, graphs.geo(spark, d)), "label")
 
 
 @query("wcc_basket", oracle_sql.wcc("basket"))
@@ -291,23 +291,60 @@ def mode_rule(spark, d):
 
 
 _GEO_WCC = oracle_sql.wcc("geo")
+_BASKET_WCC = oracle_sql.wcc("basket")
 
 
-@query("mode_pinned_wcc", _GEO_WCC)
-def mode_pinned_wcc(spark, d):
-    return al.wcc(spark, graphs.geo(spark, d), partitions=5, max_worker=5)
+def _in_store(**how) -> Query:
+    """Components of orders and parts by functions that exchange payloads through the store."""
+    return lambda spark, d: run_job(spark, graphs.basket(spark, d), "wcc", "store", **how).values.withColumnRenamed("value", "component")
 
 
-@query("mode_rotating_wcc", _GEO_WCC)
-def mode_rotating_wcc(spark, d):
-    return al.wcc(spark, graphs.geo(spark, d), partitions=5, max_worker=2)
+for _name, _how in (
+    ("mode_pinned_wcc", {"partitions": 5, "max_worker": 5}), ("mode_rotating_wcc", {"partitions": 5, "max_worker": 2}),
+    ("mode_rotating_preload_wcc", {"partitions": 5, "max_worker": 3, "preload": True}), ("store_functions_wcc", {"partitions": 6, "threads": 3}),
+    ("store_codec_json_wcc", {"codec": "json"}), ("store_codec_binary_wcc", {"codec": "binary", "batch_rows": 1000}), ("store_vertex_keys_wcc", {"aggregate": False}),
+    ("store_activation_wcc", {"activate_from": 2}),
+):
+    query(_name, _BASKET_WCC)(_in_store(**_how))
 
 
-@query("mode_rotating_preload_wcc", _GEO_WCC)
-def mode_rotating_preload_wcc(spark, d):
+@query("store_pagerank", oracle_sql.pagerank("basket"))
+def store_pagerank(spark, d):
+    return _ranked_values(spark, run_job(spark, graphs.basket(spark, d), "pagerank", "store", threads=2).values)
+
+
+@query("store_cdlp", oracle_sql.cdlp("knn"))
+def store_cdlp(spark, d):
+    return run_job(spark, graphs.knn(spark, d), "cdlp", "store").values.withColumnRenamed("value", "label")
+
+
+@query("mode_rotating_engine_wcc", _GEO_WCC)
+def mode_rotating_engine_wcc(spark, d):
+    """The partition engine a wave of partitions at a time."""
     return al.wcc(spark, graphs.geo(spark, d), partitions=5, max_worker=3, preload=True)
 
 
+def _written_sql(t: int) -> str:
+    return f"""SELECT {t} AS threads, superstep, count(*) AS messages, count(DISTINCT s * 1000 + t) AS keys
+FROM (SELECT DISTINCT src_pid // {t} AS s, vid, dst_pid // {t} AS t FROM ro WHERE src_pid // {t} <> dst_pid // {t}), (VALUES (0), (1)) k(superstep) GROUP BY superstep"""
+
+
+@query("store_messages_written", _with("basket", " UNION ALL ".join(map(_written_sql, (1, 2)))))
+def store_messages_written(spark, d):
+    """Messages and keys that were written in two rounds in which every vertex sends, by threads of a function."""
+    g, rows = graphs.basket(spark, d), []
+    for t in (1, 2):
+        rows += [(t, h["superstep"], h["messages"], h["keys"]) for h in run_job(spark, g, "pagerank", "store", partitions=P, threads=t, iters=2).history]
+    return spark.createDataFrame(rows, "threads int, superstep int, messages long, keys long")
+
+
+@query("store_vertex_keys_written", _with("basket", "SELECT count(*) AS messages, count(DISTINCT vid) AS keys FROM ro"))
+def store_vertex_keys_written(spark, d):
+    """Without aggregation: a key for every boundary vertex."""
+    h = run_job(spark, graphs.basket(spark, d), "pagerank", "store", partitions=P, aggregate=False, iters=1).history[0]
+    return spark.createDataFrame([(h["messages"], h["keys"])], "messages long, keys long")
+
+
 _HISTORY = "superstep int, unfinished int, keep_going boolean, finish boolean, changed long, active long, arcs_scanned long, messages long"
 
 
@@ -322,13 +359,20 @@ def coord_trace(spark, d):
     return _history(spark, rows).select("superstep", "changed", "unfinished", "keep_going", "finish")
 
 
-@query("mode_io_model")
+_IO = """, n AS (SELECT (SELECT count(*) FROM x) AS arcs, (SELECT count(*) FROM v) AS vs, (SELECT count(*) FROM ro) AS m)
+SELECT mode, superstep, CASE WHEN mode = 'rotating' OR superstep = 0 THEN arcs ELSE 0 END AS blocks_read, CASE WHEN superstep > 0 THEN m ELSE 0 END AS messages_read,
+  CASE WHEN mode = 'rotating' AND superstep > 0 THEN vs ELSE 0 END AS partials_read, m AS messages_written, CASE WHEN mode = 'rotating' THEN vs ELSE 0 END AS partials_written
+FROM n, (VALUES ('pinned'), ('rotating')) a(mode), (VALUES (0), (1), (2)) b(superstep)"""
+
+
+@query("mode_io_model", _with("basket", _IO))
 def mode_io_model(spark, d):
-    g = graphs.geo(spark, d)
-    rows = []
+    """Rows that each mode reads and writes in three rounds in which every vertex sends."""
+    g = graphs.basket(spark, d)
+    arcs, vertices, rows = g.arcs("both").count(), g.vertices.count(), []
     for mode, cap in (("pinned", P), ("rotating", 2)):
-        result = run_job(spark, g, "wcc", max_worker=cap)
-        rows += modes.io_model(result.history, g.arcs("both").count(), g.vertices.count(), mode)
+        result = run_job(spark, g, "pagerank", "store", partitions=P, max_worker=cap, iters=3)
+        rows += modes.io_model(result.history, arcs, vertices, mode)
     return spark.createDataFrame([tuple(r.values()) for r in rows], "mode string, superstep int, blocks_read long, messages_read long, partials_read long, messages_written long, partials_written long")
 
 
@@ -420,14 +464,15 @@ def toy5_keys(spark, d):
     return before.join(messaging.key_accesses(g, placement, "partition").selectExpr("wid", "accesses as keys_after"), "wid")
 
 
-@query(
-    "colocation_memory",
-    _with("basket", f""", g AS (SELECT pid, {_VARINT} AS b FROM (SELECT pid, src - coalesce(lag(src) OVER (PARTITION BY dst ORDER BY src), 0) AS gap FROM x)),
-h AS (SELECT pid // 2 AS wid, src AS vid FROM x UNION SELECT pid // 2, vid FROM pl),
-n AS (SELECT h.wid, count(*) FILTER (pl.pid // 2 = h.wid) AS inn, count(*) FILTER (pl.pid // 2 <> h.wid) AS outr FROM h JOIN pl USING (vid) GROUP BY 1)
-SELECT CAST(wid AS INTEGER) AS wid, inn AS "inner", outr AS "outer", CAST(ab AS BIGINT) AS adjacency_bytes, CAST(ab + 8 * (inn + outr) + 16 * outr AS BIGINT) AS bytes
-FROM n JOIN (SELECT pid // 2 AS wid, sum(b) AS ab FROM g GROUP BY 1) USING (wid)""", 8),
-)
+def _memory_sql(t: int) -> str:
+    return f""", g AS (SELECT pid, {_VARINT} AS b FROM (SELECT pid, src - coalesce(lag(src) OVER (PARTITION BY dst ORDER BY src), 0) AS gap FROM x)),
+h AS (SELECT pid // {t} AS wid, src AS vid FROM x UNION SELECT pid // {t}, vid FROM pl),
+n AS (SELECT h.wid, count(*) FILTER (pl.pid // {t} = h.wid) AS inn, count(*) FILTER (pl.pid // {t} <> h.wid) AS outr FROM h JOIN pl USING (vid) GROUP BY 1),
+mem AS (SELECT CAST(wid AS INTEGER) AS wid, inn AS "inner", outr AS "outer", CAST(ab AS BIGINT) AS adjacency_bytes, CAST(ab + 8 * (inn + outr) + 16 * outr AS BIGINT) AS bytes
+FROM n JOIN (SELECT pid // {t} AS wid, sum(b) AS ab FROM g GROUP BY 1) USING (wid))"""
+
+
+@query("colocation_memory", _with("basket", _memory_sql(2) + " SELECT * FROM mem", 8))
 def colocation_memory(spark, d):
     g = graphs.basket(spark, d)
     return measures.memory_model(g, _placed(spark, g, 8), messaging.worker_table(spark, messaging.colocate(8, 2)))
@@ -501,24 +546,24 @@ def ablation_activation(spark, d):
 # baselines
 
 
-@query("base_vertex_centric_wcc", _GEO_WCC)
+@query("base_vertex_centric_wcc", _BASKET_WCC)
 def base_vertex_centric_wcc(spark, d):
-    return baselines.run_baseline(spark, "vertex_centric", graphs.geo(spark, d), "wcc").values.withColumnRenamed("value", "component")
+    return baselines.run_baseline(spark, "vertex_centric", graphs.basket(spark, d), "wcc").values.withColumnRenamed("value", "component")
 
 
-@query("base_edge_centric_pr", oracle_sql.pagerank("geo", 4))
+@query("base_edge_centric_pr", oracle_sql.pagerank("copurchase_sparse"))
 def base_edge_centric_pr(spark, d):
-    return _ranked_values(spark, baselines.run_baseline(spark, "edge_centric", graphs.geo(spark, d), "pagerank", iters=4).values)
+    return _ranked_values(spark, baselines.run_baseline(spark, "edge_centric", graphs.copurchase_sparse(spark, d), "pagerank").values)
 
 
-@query("base_per_vertex_kv_bfs", oracle_sql.bfs("geo", "0"))
+@query("base_per_vertex_kv_bfs", oracle_sql.bfs("basket", "0"))
 def base_per_vertex_kv_bfs(spark, d):
-    return baselines.run_baseline(spark, "per_vertex_kv", graphs.geo(spark, d), "bfs", sources=(0,)).values.withColumnRenamed("value", "depth")
+    return baselines.run_baseline(spark, "per_vertex_kv", graphs.basket(spark, d), "bfs", sources=(0,)).values.withColumnRenamed("value", "depth")
 
 
-@query("base_shared_memory_pr", oracle_sql.pagerank("geo", 4))
+@query("base_shared_memory_pr", oracle_sql.pagerank("copurchase_sparse"))
 def base_shared_memory_pr(spark, d):
-    return _ranked_values(spark, baselines.run_baseline(spark, "shared_memory", graphs.geo(spark, d), "pagerank", iters=4).values)
+    return _ranked_values(spark, baselines.run_baseline(spark, "shared_memory", graphs.copurchase_sparse(spark, d), "pagerank").values)
 
 
 @query("base_block_wcc", oracle_sql.wcc("copurchase_sparse"))
@@ -597,7 +642,12 @@ def ablation_key_aggregation(spark, d):
     return baselines.ablate_key_aggregation(spark, graphs.basket(spark, d), 6)
 
 
-@query("ablation_colocation")
+def _ablated_sql(t: int) -> str:
+    sent = f"(SELECT count(*) FROM (SELECT DISTINCT src_pid // {t}, vid, dst_pid // {t} FROM ro WHERE src_pid // {t} <> dst_pid // {t}))"
+    return f"SELECT * FROM ({_with('basket', _memory_sql(t) + f' SELECT {t} AS threads, count(*) AS functions, CAST(sum(bytes) AS BIGINT) AS bytes, {sent} AS messages FROM mem', 6)})"
+
+
+@query("ablation_colocation", " UNION ALL ".join(map(_ablated_sql, (1, 2, 3, 6))))
 def ablation_colocation(spark, d):
     return baselines.ablate_colocation(spark, graphs.basket(spark, d), 6)
 

@@ -5,7 +5,7 @@ import pytest
 from subgraph_engine import graphs
 from subgraph_engine.prepare import prepare
 from subgraph_engine.sources import read_edge_list, read_edges, read_result, read_vertex_list, write_edge_list, write_result
-from subgraph_engine.store import MemoryStore, ParquetStore
+from subgraph_engine.store import ROW, MemoryStore, ParquetStore
 from subgraph_engine.streaming import events as ev
 
 
@@ -41,15 +41,18 @@ def test_tabular_edges_and_results(spark, sf_dir, tmp_path, fmt):
 @pytest.mark.parametrize("kind", ["parquet", "memory"])
 def test_stores(spark, tmp_path, kind):
     store = ParquetStore(spark, str(tmp_path)) if kind == "parquet" else MemoryStore()
-    rows = spark.createDataFrame([(0, 1, 5), (1, 2, 6), (1, 3, 7)], "pid int, vid long, value long")
-    store.put("partial", 0, rows)
-    store.put("partial", 1, rows.filter("pid = 1"))
-    assert store.get("partial", 0).count() == 3 and store.get("partial", 1).count() == 2
-    assert sorted(r.vid for r in store.get("partial", 0, [1]).collect()) == [2, 3]
-    store.put("partial", 0, rows.filter("pid = 0"))
-    assert store.get("partial", 0).count() == 1
+    row = lambda kind, wid, x: (kind, wid, x, 0, 1, [bytearray(b"a")])
+    rows = spark.createDataFrame([row("partial", 0, 1), row("partial", 1, 2), row("messages", 1, 3)], ROW)
+    store.put(0, rows.filter("wid = 0"), part=0)
+    store.put(0, rows.filter("wid = 1"), part=1)
+    store.put(1, rows.filter("kind = 'messages'"))
+    assert store.get("partial", 0).count() == 2 and store.get("messages", 1).count() == 1 and store.get("partial", 1).count() == 0
+    assert [tuple(r)[:5] for r in store.get("partial", 0, [1]).collect()] == [("partial", 1, 2, 0, 1)]
+    store.put(0, rows.filter("wid = 0"), part=1)  # a part that is written again takes the place of the first
+    assert sorted(r.wid for r in store.get("partial", 0).collect()) == [0, 0]
+    store.drop(0)
     with pytest.raises(ValueError):
-        store.put("other", 0, rows)
+        store.get("other", 1)
 
 
 def _events(spark, days):
