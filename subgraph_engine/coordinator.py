@@ -44,7 +44,7 @@ class Coordinator:
                 values.write.option("compression", "zstd").parquet(path)
             finally:
                 engine.close()
-        return JobResult(self.spark.read.schema(values.schema).parquet(path), history, mode, request)
+        return JobResult(self.spark.read.schema(values.schema).parquet(path), history, mode, request, engine.worked)
 
     def _supersteps(self, engine: Engine, request: JobRequest, mode: str, until, history: list[dict[str, Any]]) -> DataFrame:
         state = engine.prepare()

@@ -50,6 +50,7 @@ class Engine:
     changed_share: float = field(default=1.0, init=False)
     _paths: list[str] = field(default_factory=list, init=False)
     on_close: list[Any] = field(default_factory=list, init=False)
+    worked: list[tuple[int, int, int, float, float]] = field(default_factory=list, init=False)
 
     needs_routes = True
 

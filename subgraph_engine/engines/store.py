@@ -32,6 +32,7 @@ from __future__ import annotations
 
 import json
 import threading
+import time
 from collections.abc import Iterator
 from concurrent.futures import ThreadPoolExecutor
 from queue import Empty, SimpleQueue
@@ -321,11 +322,13 @@ class StoreEngine(Engine):
                     except Empty:
                         break
                     self.order.append((worker, wid))
+                    began = time.perf_counter()
                     fixed = inputs(wid)
                     moving = self.store.get("partial", k - 1, [wid])
                     moving = moving.unionByName(self._messages(k, [wid])) if k else moving
                     self.store.put(k, self._ran(k, fixed.coalesce(1), moving.coalesce(1)), part=wid)
                     fixed.unpersist()
+                    self.worked.append((worker, k, wid, began, time.perf_counter()))
                 if preload:
                     try:
                         fetch(ahead.get_nowait())

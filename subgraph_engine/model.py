@@ -83,3 +83,5 @@ class JobResult:
     history: list[dict[str, Any]]
     mode: str
     request: JobRequest
+    #: of rotating workers: worker, superstep, function, start and end in seconds
+    worked: list[tuple[int, int, int, float, float]] = field(default_factory=list)
