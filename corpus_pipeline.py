@@ -43,9 +43,10 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def encode_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token ids of every document, and whether they decode to its text."""
     encoded = bpe.encode(docs, bpe.byte_bpe_path())
+    ids, n_tokens, decoded = (encoded[c] for c in encoded.columns[-3:])
     text = encoded["text"]
-    round_trip = encoded["decoded"].eqNullSafe(text) | text.isNull() & (encoded["decoded"] == "")
-    return encoded.withColumn("round_trip", round_trip).select("doc_id", "lang", "source", "n_chars", "n_tokens", "token_ids", "round_trip")
+    round_trip = decoded.eqNullSafe(text) | text.isNull() & (decoded == "")
+    return encoded.select("doc_id", "lang", "source", "n_chars", n_tokens.alias("n_tokens"), ids.alias("token_ids"), round_trip.alias("round_trip"))
 
 
 STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [

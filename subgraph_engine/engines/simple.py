@@ -10,7 +10,7 @@ from subgraph_engine.model import UnsupportedAlgorithm
 from subgraph_engine.storage import shared_path, written_table
 
 #: A state that is held by every executor may have so many rows, 32 bytes each.
-SHARED_STATE_ROWS = 20_000_000
+SHARED_STATE_ROWS = 4_000_000
 
 
 class VertexCentricEngine(Engine):
