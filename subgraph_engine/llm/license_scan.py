@@ -3,8 +3,8 @@
 Templates are the whole texts in ``licenses/`` and the notices below, by which
 licenses are applied. They are cut into word triples; winnowing keeps the smallest
 hash of every window of triples, so any stretch of ``WINDOW + GRAM - 1`` words that a
-document shares with a template holds a kept fingerprint. The fingerprints are an
-inverted index to (template, place). A document's triples that are in the index are
+document shares with a template holds a kept fingerprint; notices of up to ``SHORT``
+words keep all theirs. The fingerprints are an inverted index to (template, place). A document's triples that are in the index are
 chained per template: places that go on in both, with a drift of at most ``BAND``
 words from one to the next. Along each chain a local alignment over words, in a
 band, finds what is matched, changed, added or left out.
@@ -139,7 +139,7 @@ class TemplateIndex:
         for t, own in enumerate(self.words):
             grams = self.grams(np.array(own, np.int64)).tolist()
             # mixed, so that "smallest" is no matter of the alphabet
-            for k in winnow([(g * 0x9E3779B97F4A7C15) & (2**64 - 1) for g in grams]):
+            for k in winnow([(g * 0x9E3779B97F4A7C15) & (2**64 - 1) for g in grams], 1 if len(own) <= SHORT else WINDOW):
                 self.places[grams[k]].append((t, k))
         self.keys = np.array(sorted(self.places), np.int64)
 
@@ -261,13 +261,15 @@ UNIT = 1 << 24
 
 
 def align(template: list[int], words: list[int], chain: list[tuple[int, int]], band: int = BAND) -> tuple[int, int, int, int]:
-    """Score, matched words, first and last matched place in ``words`` of the best local alignment along a chain.
+    """Score, matched words, first and last matched place in ``words`` of the best local alignment that goes through a chain.
 
-    The band lies around the diagonal of the last anchor, and reaches to that of the next.
+    The band lies around the diagonal of the last anchor, and reaches to that of the next. As it may also hold a
+    notice beside the chain's own, only alignments with an anchor in them count.
     """
     hit, miss = MATCH * UNIT + 1, CHANGE * UNIT
     best = (0, -1, -1)
-    cells, firsts, lasts, begin = [], [], [], 0
+    cells, firsts, lasts, marks, begin = [], [], [], [], 0
+    anchors = {k: p for p, k in chain}
     at, size = 0, len(words)
     for i in range(max(0, chain[0][1] - REACH), min(len(template), chain[-1][1] + GRAM + REACH)):
         while at + 1 < len(chain) and chain[at + 1][1] <= i:
@@ -277,35 +279,39 @@ def align(template: list[int], words: list[int], chain: list[tuple[int, int]], b
         there = ahead[0] - ahead[1] if i >= chain[0][1] else here
         w = template[i]
         low, high = max(0, i + min(here, there) - band), min(size, i + max(here, there) + band + 1)
-        row, row_first, row_last = [], [], []
+        row, row_first, row_last, row_mark = [], [], [], []
         left = left_first = left_last = 0
+        left_mark = False
+        anchor = anchors.get(i, -1)
         held = len(cells)
         for j in range(low, high):
             x = j - 1 - begin
             if 0 <= x < held:
-                cell, first, last = cells[x], firsts[x], lasts[x]
+                cell, first, last, mark = cells[x], firsts[x], lasts[x], marks[x]
             else:
-                cell, first, last = 0, -1, -1
+                cell, first, last, mark = 0, -1, -1, False
             if words[j] == w:
                 if not cell:
-                    first = j
+                    first, mark = j, False
                 cell, last = cell + hit, j
+                mark = mark or j == anchor
             else:
                 cell += miss
             x += 1
             if 0 <= x < held and cells[x] + GAP * UNIT > cell:
-                cell, first, last = cells[x] + GAP * UNIT, firsts[x], lasts[x]
+                cell, first, last, mark = cells[x] + GAP * UNIT, firsts[x], lasts[x], marks[x]
             if left + GAP * UNIT > cell:
-                cell, first, last = left + GAP * UNIT, left_first, left_last
+                cell, first, last, mark = left + GAP * UNIT, left_first, left_last, left_mark
             if cell < UNIT:
-                cell = 0
-            elif cell > best[0]:
+                cell, mark = 0, False
+            elif mark and cell > best[0]:
                 best = (cell, first, last)
             row.append(cell)
             row_first.append(first)
             row_last.append(last)
-            left, left_first, left_last = cell, first, last
-        cells, firsts, lasts, begin = row, row_first, row_last, low
+            row_mark.append(mark)
+            left, left_first, left_last, left_mark = cell, first, last, mark
+        cells, firsts, lasts, marks, begin = row, row_first, row_last, row_mark, low
     return best[0] // UNIT, best[0] % UNIT, best[1], best[2]
 
 
