@@ -2,7 +2,7 @@
 
 import pytest
 
-from subgraph_engine import graphs, messaging, prepare
+from subgraph_engine import graphs, messaging, prepare, queries
 from subgraph_engine.coordinator import Coordinator
 from subgraph_engine.model import JobRequest
 from subgraph_engine.storage import written_table
@@ -37,3 +37,13 @@ def test_jobs_broadcast_only_what_is_marked(spark, sf_dir, engine):
     assert seen == ["-1"]
     assert spark.conf.get("spark.sql.autoBroadcastJoinThreshold") == before
     assert spark.conf.get("spark.sql.adaptive.autoBroadcastJoinThreshold", None) is None
+
+
+def test_neighbours_of_many_blocks(spark, same_as_sql, monkeypatch):
+    """Tiles of two blocks met only where their keys, a long and an int, were dealt alike."""
+    monkeypatch.setattr(graphs, "KNN_BLOCK", 30)
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    try:
+        same_as_sql(queries.QUERIES["g_knn_edges"], queries.ORACLE_SQL["g_knn_edges"])
+    finally:
+        spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
