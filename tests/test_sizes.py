@@ -47,3 +47,9 @@ def test_neighbours_of_many_blocks(spark, same_as_sql, monkeypatch):
         same_as_sql(queries.QUERIES["g_knn_edges"], queries.ORACLE_SQL["g_knn_edges"])
     finally:
         spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
+
+
+def test_mask_example_reads_lineitem(spark, sf_dir):
+    """The masks were of made-up rows, whatever the tables held."""
+    files = queries.QUERIES["mask_example"](spark, sf_dir).inputFiles()
+    assert any(f.endswith("lineitem.parquet") for f in files)
