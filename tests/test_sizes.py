@@ -5,6 +5,7 @@ import pytest
 from subgraph_engine import graphs, messaging, prepare, queries
 from subgraph_engine.coordinator import Coordinator
 from subgraph_engine.model import JobRequest
+from subgraph_engine.operators import queries as operator_queries
 from subgraph_engine.storage import written_table
 
 
@@ -49,7 +50,9 @@ def test_neighbours_of_many_blocks(spark, same_as_sql, monkeypatch):
         spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
 
 
-def test_mask_example_reads_lineitem(spark, sf_dir):
-    """The masks were of made-up rows, whatever the tables held."""
-    files = queries.QUERIES["mask_example"](spark, sf_dir).inputFiles()
-    assert any(f.endswith("lineitem.parquet") for f in files)
+@pytest.mark.parametrize(("name", "part", "table"), [
+    ("mask_example", queries, "lineitem"), ("cost_saving", queries, "lineitem"), ("g_kron_degrees", operator_queries, "pages"),
+])
+def test_tables_are_read(spark, sf_dir, name, part, table):
+    """These were of made-up rows, whatever the tables held."""
+    assert any(f.endswith(f"{table}.parquet") for f in part.QUERIES[name](spark, sf_dir).inputFiles())
