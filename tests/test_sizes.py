@@ -51,7 +51,7 @@ def test_neighbours_of_many_blocks(spark, same_as_sql, monkeypatch):
 
 
 @pytest.mark.parametrize(("name", "part", "table"), [
-    ("mask_example", queries, "lineitem"), ("cost_saving", queries, "lineitem"), ("g_kron_degrees", operator_queries, "pages"),
+    ("mask_example", queries, "lineitem"), ("cost_saving", queries, "lineitem"), ("mode_rule", queries, "lineitem"), ("cost_cloud", queries, "orders"), ("g_kron_degrees", operator_queries, "pages"),
 ])
 def test_tables_are_read(spark, sf_dir, name, part, table):
     """These were of made-up rows, whatever the tables held."""
