@@ -56,3 +56,11 @@ def test_neighbours_of_many_blocks(spark, same_as_sql, monkeypatch):
 def test_tables_are_read(spark, sf_dir, name, part, table):
     """These were of made-up rows, whatever the tables held."""
     assert any(f.endswith(f"{table}.parquet") for f in part.QUERIES[name](spark, sf_dir).inputFiles())
+
+
+def test_timelines_read_lineitem(spark, sf_dir, duck):
+    """Their work was made up, whatever the table held."""
+    want = duck.sql("SELECT count(*)::DOUBLE, sum(l_quantity) FROM lineitem").fetchall()[0]
+    work = queries._work(spark, sf_dir)
+    assert (sum(w.load for w in work), sum(w.compute for w in work)) == want
+    assert (len(work), all(w.message > 0 for w in work)) == (15, True)
