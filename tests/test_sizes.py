@@ -50,6 +50,17 @@ def test_neighbours_of_many_blocks(spark, same_as_sql, monkeypatch):
         spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
 
 
+@pytest.mark.parametrize("name", ["bfs_multi", "cdlp_directed_knn", "pr_personal", "base_block_cdlp"])
+def test_queries_on_neighbours_of_many_blocks(spark, same_as_sql, monkeypatch, name):
+    """What is computed on the graph of neighbours, where that graph is made of many tiles."""
+    monkeypatch.setattr(graphs, "KNN_BLOCK", 30)
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    try:
+        same_as_sql(queries.QUERIES[name], queries.ORACLE_SQL[name])
+    finally:
+        spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
+
+
 @pytest.mark.parametrize(("name", "part", "table"), [
     ("mask_example", queries, "lineitem"), ("cost_saving", queries, "lineitem"), ("mode_rule", queries, "lineitem"), ("cost_cloud", queries, "orders"), ("g_kron_degrees", operator_queries, "pages"),
 ])
