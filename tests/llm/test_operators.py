@@ -410,6 +410,31 @@ def test_toxicity_counts_do_not_stop_at_the_sample(spark, monkeypatch):
     assert toxicity.drop_toxic(spark, docs, large).count() == sum(s < 0.5 for s in found.values())
 
 
+def test_large_toxicity_models_are_passed_over(spark, monkeypatch):
+    """Texts were joined with all rows of the model that they might need, dozens of times their size."""
+    import pyarrow as pa
+    from subgraph_engine.storage import qualified
+
+    draw = random.Random(8)
+    rows = [(i, " ".join(draw.choice("aa bb cc dd abcd abcde bad worse".split()[: 6 + 2 * (i % 2)]) for _ in range(30)), i % 2) for i in range(200)]
+    docs = spark.createDataFrame([r[:2] for r in rows], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, t) for i, _, t in rows], "doc_id long, toxic int")
+    small = toxicity.fit(spark, docs, labels)
+    monkeypatch.setattr(toxicity, "BROADCAST_ENTRIES", 10)
+    large = toxicity.fit(spark, docs, labels)
+    plan = toxicity.drop_toxic(spark, docs, large)._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in plan and "Join" not in plan
+    texts = [t for _, t, _ in rows] + [None, "", "new words abc", "bad"]
+    batches = [pa.RecordBatch.from_pydict({"text": pa.array(texts[at : at + 9], pa.string())}) for at in range(0, len(texts), 9)]
+    for name, bound in (("FILE_ROWS", 7), ("SCORED_WORDS", 40)):
+        monkeypatch.setattr(toxicity, name, bound)
+    for held in (0, 1 << 18):
+        monkeypatch.setattr(toxicity, "HELD_TOKENS", held)
+        found = list(toxicity.Scorer().ratios_by_files(iter(batches), qualified(spark, large.table._shared_path)))
+        assert [b.num_rows for b, _ in found] == [b.num_rows for b in batches]
+        assert np.concatenate([r for _, r in found]) == pytest.approx(small.ratios(texts))
+
+
 def brute_toxicity(rows, labels):
     """The ratio of any text by dictionaries, from the definition."""
     import math
