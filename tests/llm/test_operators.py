@@ -435,6 +435,16 @@ def test_large_toxicity_models_are_passed_over(spark, monkeypatch):
         assert np.concatenate([r for _, r in found]) == pytest.approx(small.ratios(texts))
 
 
+def test_toxicity_takes_texts_apart_in_slices(monkeypatch):
+    """Batches of 16 MB were taken apart whole, which took hundreds of MB of an executor."""
+    import pyarrow as pa
+
+    batch = pa.RecordBatch.from_pydict({"text": pa.array(["some words " * 20] * 50 + [None, "x" * 5000], pa.string())})
+    monkeypatch.setattr(toxicity, "SLICE_BYTES", 2000)
+    parts = list(toxicity.slices(iter([batch, batch.slice(0, 0)])))
+    assert len(parts) > 5 and pa.Table.from_batches(parts).combine_chunks().to_batches() == [batch]
+
+
 def brute_toxicity(rows, labels):
     """The ratio of any text by dictionaries, from the definition."""
     import math
