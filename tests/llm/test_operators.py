@@ -445,6 +445,28 @@ def test_toxicity_takes_texts_apart_in_slices(monkeypatch):
     assert len(parts) > 5 and pa.Table.from_batches(parts).combine_chunks().to_batches() == [batch]
 
 
+def test_toxicity_reads_words_as_arrays(spark):
+    """Words were hashed and numbered one by one, which took more than half of op6's time."""
+    import pyarrow as pa
+    from pyspark.sql import functions as F
+    from subgraph_engine.llm.hashing import string_hash
+
+    draw = random.Random(4)
+    words = ["".join(draw.choice("abcé\u4e00\U0001d400") for _ in range(n)) for n in [*range(45)] * 3]
+    table = spark.createDataFrame([(k, w) for k, w in enumerate(words)], "k int, w string")
+    want = [r.h for r in table.orderBy("k").select(F.xxhash64("w").alias("h")).collect()]
+    assert string_hash(pa.array(words)).tolist() == want
+    assert string_hash(pa.array(words).slice(5, 90)).tolist() == want[5:95] and not len(string_hash(pa.array([], pa.string())))
+    texts = ["don't a.b x_1 Größe² the2the ...", "", None, "ﬁ ①② ñandú-x", "plain words. Don t", "1 2 3", "plain the the"]
+    lexicon = toxicity.Lexicon()
+    for part in (texts[:2], texts[2:], texts):
+        numbers, ends = lexicon.read(part)
+        found = lexicon.words().take(pa.array(numbers)).to_pylist()
+        assert [found[a:b] for a, b in zip([0, *ends], ends)] == [toxicity.WORD.findall((t or "").lower()) for t in part]
+    assert len(set(lexicon.words().to_pylist())) == len(lexicon) and lexicon.words(3).to_pylist() == lexicon.words().to_pylist()[3:]
+    assert toxicity.word_keys(lexicon.words()).tolist() == lexicon.keys.tolist()
+
+
 def brute_toxicity(rows, labels):
     """The ratio of any text by dictionaries, from the definition."""
     import math
