@@ -546,6 +546,20 @@ def test_toxicity_by_dictionaries(spark):
     assert scorer.ratios(asked) == pytest.approx([ratio(t) for t in asked], abs=1e-4)
 
 
+def test_toxicity_pairs_of_words_in_few_documents(spark):
+    """Pairs of words that fewer than four documents hold were left out, however many contexts they have."""
+    rows = [(i, "plain words of many kinds") for i in range(60)]
+    counted = [i for i in range(60) if zlib.crc32(str(i).encode()) % 5 in (1, 2, 3)][:2]
+    for i in counted:
+        rows[i] = (i, " ".join(f"c{'abcdef'[k]}{'xy'[i == counted[0]]} rare pair" for k in range(6)))
+    labels = [(i, int(i in counted or i % 7 == 0)) for i in range(60)]
+    scorer = toxicity.fit(spark, spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(labels, "doc_id long, toxic int"))
+    rare, pair = toxicity.word_keys(["rare", "pair"])
+    assert scorer.model[2].find(toxicity.long_hash(np.array([rare])) ^ pair)[2].all()
+    asked = ["the rare pair", "rare plain pair", rows[counted[0]][1]]
+    assert scorer.ratios(asked) == pytest.approx([brute_toxicity(rows, labels)(t) for t in asked], abs=1e-4)
+
+
 def page(body, url="http://site/x"):
     return html_text.Page(body).main_text(frozenset(), html_text.host_of(url))
 
