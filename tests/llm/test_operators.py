@@ -560,6 +560,26 @@ def test_toxicity_pairs_of_words_in_few_documents(spark):
     assert scorer.ratios(asked) == pytest.approx([brute_toxicity(rows, labels)(t) for t in asked], abs=1e-4)
 
 
+def test_toxicity_compares_whole_texts(spark, monkeypatch):
+    """Scores were of the highest word alone, and of passages of just so many words where more were asked for."""
+    draw = random.Random(3)
+    # no word tells alone: texts differ by how many of their words lean to one class
+    mild, plain = [f"mild{c}xx" for c in "abcdefghijklmnop"], [f"base{c}yy" for c in "abcdefghijklmnop"]
+    rows = [(i, " ".join(draw.choice(mild if draw.random() < (0.7 if i % 2 else 0.3) else plain) for _ in range(60))) for i in range(400)]
+    labels = [(i, i % 2) for i, _ in rows]
+    scorer = toxicity.fit(spark, spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(labels, "doc_id long, toxic int"))
+    texts = [t for _, t in rows] + ["", None, "mildaxx"]
+    highest, whole = scorer.measures(texts)
+    steps = [scorer._steps(*scorer.lexicon.read([t])).tolist() for t in texts]
+    assert whole == pytest.approx([sum(s) / len(s) if s else 0.0 for s in steps])
+    assert highest == pytest.approx([max(s, default=0.0) for s in steps])
+    held = [k for k, (i, _) in enumerate(rows) if zlib.crc32(str(i).encode()) % 5 == 0]
+    assert sum((scorer.scores([rows[k][1]])[0] >= 0.5) == labels[k][1] for k in held) / len(held) > 0.9
+    monkeypatch.setattr(toxicity, "PASSAGE", 3)
+    means = [[sum(s[a:b]) / (b - a) for a in range(len(s)) for b in range(a + min(3, len(s)), len(s) + 1)] for s in steps[:20] + steps[-3:]]
+    assert scorer.ratios(texts[:20] + texts[-3:]) == pytest.approx([max(m, default=0.0) for m in means])
+
+
 def page(body, url="http://site/x"):
     return html_text.Page(body).main_text(frozenset(), html_text.host_of(url))
 
