@@ -177,6 +177,22 @@ def test_arcs_do_not_move_in_a_superstep(spark, bridge):
     assert not any("ENSURE_REQUIREMENTS" in line for line in moving), plan
 
 
+def test_partitions_larger_than_memory_are_merged(spark, bridge):
+    """Mirrors of a whole partition were held in a hash table, which cannot go to disk; kept arcs are sorted once."""
+    from subgraph_engine.engines.base import explicit_layout
+    from subgraph_engine.programs.algorithms import Components
+
+    for how in ({}, {"activate_from": 0}):
+        engine = PartitionEngine(spark, bridge, Components(), JobRequest("wcc", partitions=4, **how))
+        state = engine.prepare()
+        with explicit_layout(spark):
+            plan = engine.advance(0, state)._jdf.queryExecution().executedPlan().toString()
+            kept = engine.kept_arcs.sortWithinPartitions("pid", "src")._jdf.queryExecution().executedPlan().toString()
+        engine.close()
+        assert "ShuffledHashJoin" not in plan and "SortMergeJoin" in plan
+        assert kept.count("Sort [") == 1  # the one below the kept rows
+
+
 def test_messaging_bounds(spark, sf_dir):
     g = graphs.basket(spark, sf_dir)
     p = 6
