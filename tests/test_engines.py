@@ -309,3 +309,30 @@ def test_kronecker_graph_is_skewed(spark):
     g = graphs.kron(spark, 8, 8)
     top = prepare.degrees(g).agg({"degree": "max", "vid": "count"}).first()
     assert top[0] > 40 and g.edges.count() > 1000
+
+
+def test_functions_are_packed_in_pieces(spark, sf_dir, monkeypatch):
+    """A partition's arcs and a function's array were packed, sent and unpacked whole."""
+    from subgraph_engine import graphs
+    from subgraph_engine.engines import store
+    from subgraph_engine.engines.store import StoreEngine
+    from subgraph_engine.programs.algorithms import Components
+
+    g = graphs.basket(spark, sf_dir)
+    whole = {n: run_job(spark, g, n, "store", partitions=4, threads=2, **how) for n, how in (("wcc", {"activate_from": 1}), ("pagerank", {"iters": 3}))}
+    monkeypatch.setattr(store, "PIECE_ARCS", 100)
+    monkeypatch.setattr(store, "PIECE_VERTICES", 50)
+    engine = StoreEngine(spark, g, Components(), JobRequest("wcc", partitions=4, threads=2))
+    engine.prepare()
+    rows = engine.store.get("block", -1).select("x", "y", "n").collect()
+    assert len({(r.x, r.y) for r in rows}) == len(rows) > 100 and max(r.n for r in rows) < 400
+    assert sum(r.n for r in rows) == engine.n_arcs
+    for kind in ("routes", "partial"):
+        assert max(r.n for r in engine.store.get(kind, -1).select("n").collect()) < 150
+    engine.close()
+    for name, how in (("wcc", {"activate_from": 1}), ("pagerank", {"iters": 3})):
+        cut = run_job(spark, g, name, "store", partitions=4, threads=2, **how)
+        same = lambda a, b: {k: v for k, v in a.items() if k != "bytes"} == {k: v for k, v in b.items() if k != "bytes"}
+        assert all(map(same, cut.history, whole[name].history)) and len(cut.history) == len(whole[name].history)
+        assert values(cut) == pytest.approx(values(whole[name]))
+    assert [b.num_rows for b in store._table([("messages", 0, 0, k, 1, [b"x" * (3 << 20)]) for k in range(4)]).to_batches()] == [2, 2]
