@@ -4,7 +4,7 @@ import pytest
 
 from subgraph_engine import algorithms as al
 from subgraph_engine import blocks, graphs, messaging, prepare
-from subgraph_engine.coordinator import run_job
+from subgraph_engine.coordinator import Coordinator, run_job
 from subgraph_engine.engines.relational import PartitionEngine
 from subgraph_engine.functions.components import star_components
 from subgraph_engine.model import UNREACHABLE, JobRequest, UnsupportedAlgorithm
@@ -311,6 +311,24 @@ def test_kronecker_graph_is_skewed(spark):
     assert top[0] > 40 and g.edges.count() > 1000
 
 
+def test_rows_of_bytes_are_not_read_in_batches(spark, bridge):
+    """A batch of the vectorized reader had all pieces of a function, which took an executor's heap."""
+    from subgraph_engine.engines.base import bytes_by_row
+    from subgraph_engine.engines.store import StoreEngine
+    from subgraph_engine.programs.algorithms import Components
+
+    name = "spark.sql.parquet.enableNestedColumnVectorizedReader"
+    before, seen = spark.conf.get(name), []
+    Coordinator(spark, bridge, "store").run(JobRequest("wcc"), until=lambda _: seen.append(spark.conf.get(name)))
+    assert set(seen) == {"false"} and spark.conf.get(name) == before
+    engine = StoreEngine(spark, bridge, Components(), JobRequest("wcc", partitions=4))
+    engine.prepare()
+    with bytes_by_row(spark):
+        plan = engine.store.get("block", -1)._jdf.queryExecution().executedPlan().toString()
+    engine.close()
+    assert "Batched: false" in plan
+
+
 def test_functions_are_packed_in_pieces(spark, sf_dir, monkeypatch):
     """A partition's arcs and a function's array were packed, sent and unpacked whole."""
     from subgraph_engine import graphs
